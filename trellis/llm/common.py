@@ -81,33 +81,52 @@ def hash_share(per_class: int, counts: dict, by: str, *of: str) -> Column:
     return keep
 
 
-def labelled_sample(spark: SparkSession, docs: DataFrame, labels: DataFrame, label: str, usable: Column, per_class: int) -> DataFrame:
-    """(doc_id, y, text): at most about `per_class` labelled documents of each of the classes 0 and 1.
+def labelled_sample(docs: DataFrame, labels: DataFrame, label: str, usable: Column, per_class: int) -> tuple[DataFrame, dict[int, int]]:
+    """(doc_id, y, text), cut into the shared folder, and all labelled rows by class.
 
-    The chosen ids are a bounded table (2 x per_class, 3 deviations of slack at most), so the
-    documents meet them in a broadcast join and their texts are never shuffled.
+    At most about `per_class` labelled documents of each of the classes 0 and 1 are kept. The chosen ids are a bounded table (2 x per_class, 3 deviations of slack at most), so the
+    documents meet them in a broadcast join and their texts are never shuffled. Texts are whole.
     """
     known = labels.where(usable & F.col(label).isin(0, 1) & F.col("doc_id").isNotNull()).select("doc_id", F.col(label).cast("int").alias("y"))
     counts = {r["y"]: r["n"] for r in known.groupBy("y").agg(F.count("*").alias("n")).collect()}
     chosen = known.where(hash_share(per_class, counts, "y", "doc_id")).dropDuplicates(["doc_id"]).limit(2 * per_class + 6 * math.isqrt(2 * per_class))
-    return docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id").select("doc_id", "y", F.coalesce("text", F.lit("")).alias("text"))
+    rows = docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id").select("doc_id", "y", F.coalesce("text", F.lit("")).alias("text"))
+    return checkpointed(rows), counts
 
 
 def logistic(x: np.ndarray, y: np.ndarray, penalty: float = 1e-2, rounds: int = 60, weight: np.ndarray | None = None) -> np.ndarray:
-    """Ridge-penalised logistic regression by Newton steps; the last coefficient is the intercept."""
+    """Ridge-penalised logistic regression by damped Newton steps; the last coefficient is the intercept."""
     x = np.hstack([np.asarray(x, float), np.ones((len(x), 1))])
     w, ridge = np.zeros(x.shape[1]), np.full(x.shape[1], penalty)
     ridge[-1] = 1e-6
     weight = np.ones(len(x)) if weight is None else weight
+
+    def loss(w: np.ndarray) -> float:
+        z = x @ w
+        return float(weight @ (np.logaddexp(0, z) - y * z) + ridge @ (w * w) / 2)
+
+    now = loss(w)
     for _ in range(rounds):
-        p = 1 / (1 + np.exp(-np.clip(x @ w, -30, 30)))
-        step = np.linalg.solve((x * (weight * p * (1 - p) + 1e-9)[:, None]).T @ x + np.diag(ridge + 1e-9), x.T @ (weight * (y - p)) - ridge * w)
-        w += np.clip(step, -5, 5)
-        if np.abs(step).max() < 1e-7:
+        p = sigmoid(x @ w)
+        step = np.linalg.solve((x * (weight * p * (1 - p))[:, None]).T @ x + np.diag(ridge + 1e-9), x.T @ (weight * (y - p)) - ridge * w)
+        size = 1.0
+        while size > 1e-6 and loss(w + size * step) > now:
+            size /= 2
+        w = w + size * step
+        before, now = now, loss(w)
+        if before - now < 1e-9 * max(1.0, now):
             break
     return w
 
 
+def prior_weights(y: np.ndarray, counts: dict[int, int]) -> np.ndarray:
+    """Weights that give a balanced sample the class shares of all labelled rows."""
+    total = max(1, sum(counts.values()))
+    share = {c: counts.get(c, 0) / total for c in (0, 1)}
+    own = {c: max(1, int((y == c).sum())) / max(1, len(y)) for c in (0, 1)}
+    return np.array([share[int(c)] / own[int(c)] for c in y])
+
+
 def sigmoid(z):
     return 1 / (1 + np.exp(-np.clip(z, -30, 30)))
 
@@ -142,7 +161,5 @@ def rank_in_key(rows: DataFrame, key: str, part: str, local: str, out: str) -> D
     parts, so no key's rows meet in one task however many it has.
     """
     counts = rows.groupBy(part, key).agg(F.count("*").alias("__n"))
-    from pyspark.sql import Window
-
     base = counts.select(part, key, (F.sum("__n").over(Window.partitionBy(key).orderBy(part).rowsBetween(Window.unboundedPreceding, 0)) - F.col("__n")).alias("__base"))
     return rows.join(base, [part, key]).withColumn(out, F.col("__base") + F.col(local)).drop("__base")

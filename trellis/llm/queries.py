@@ -15,12 +15,30 @@ def tokenizer() -> tuple[str, str]:
     return public_tokenizers.path("byte_bpe_50k.tiktoken"), public_tokenizers.PATTERN
 
 
+def op1_compression_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .quality import classify
+
+    return classify(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
+def op2_noisy_channel_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .toxicity import classify
+
+    return classify(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
 def op3_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .packing import pack
 
     return pack(spark, table(spark, sf_dir, "documents"), *tokenizer())
 
 
+def op6_language_spans(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .langid import identify
+
+    return identify(table(spark, sf_dir, "documents"))
+
+
 def op7_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .simhash import simhash_classes
 
@@ -39,5 +57,5 @@ def op10_consistent_hash_sharding(spark: SparkSession, sf_dir: str) -> DataFrame
     return shard_documents(spark, table(spark, sf_dir, "documents"))
 
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op3_best_fit_packing, op7_simhash_near_dedup, op9_benchmark_decontamination, op10_consistent_hash_sharding)}
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_compression_quality, op2_noisy_channel_toxicity, op3_best_fit_packing, op6_language_spans, op7_simhash_near_dedup, op9_benchmark_decontamination, op10_consistent_hash_sharding)}
 ORACLE_SQL: dict[str, str] = {}
