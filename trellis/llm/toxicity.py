@@ -39,6 +39,8 @@ PER_CLASS = 3000
 MOST_FEATURES = 50_000
 #: Standard deviations that a feature's count in toxic documents must be above its expectation.
 LEAST_Z = 4.0
+#: Toxic documents that a feature must be seen in.
+LEAST_SEEN = 4
 #: Letters of the model: a-z, anything else that is a letter, and the edge of a word.
 OTHER, EDGE, SIZE = 26, 27, 28
 
@@ -195,7 +197,7 @@ def strengths(rows: list[tuple[str, int, int]], n1: int, n0: int) -> dict[str, f
         if name.endswith("-") and a < 2 * most.get(name, 0):
             continue  # says no more than that word
         expected = (a + b) * n1 / max(1, n1 + n0)
-        if a >= 5 and (a - expected) / math.sqrt(max(expected * n0 / max(1, n1 + n0), 1e-9)) >= LEAST_Z:
+        if a >= LEAST_SEEN and (a - expected) / math.sqrt(max(expected * n0 / max(1, n1 + n0), 1e-9)) >= LEAST_Z:
             out[name] = math.log((a + 0.5) / (n1 + 1)) - math.log((b + 0.5) / (n0 + 1))
     return dict(sorted(out.items(), key=lambda x: (-x[1], x[0]))[:MOST_FEATURES])
 
@@ -223,7 +225,7 @@ def train(docs: DataFrame, labels: DataFrame, per_class: int = PER_CLASS) -> Mod
     """Learns labels from rows outside the held-out fold only."""
     counts = corpus_trigrams(docs)
     rows, known = labelled_sample(docs, labels, "toxic", fold("doc_id", 3) != 1, per_class)
-    half = F.pmod(F.xxhash64(F.lit("half"), "doc_id"), F.lit(2))
+    rows = rows.withColumn("half", F.pmod(F.xxhash64(F.lit("half"), "doc_id"), F.lit(2)).cast("int"))
     plain = language_model(counts, {})
     share = (known.get(1, 0) + 0.5) / (sum(known.values()) + 1)
     flat = Model(plain, {}, (0.0, 0.0, 0.0, 0.0, math.log(share / (1 - share))))
@@ -231,29 +233,34 @@ def train(docs: DataFrame, labels: DataFrame, per_class: int = PER_CLASS) -> Mod
         return flat
 
     def features(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        seen: dict[str, list[int]] = {}
-        restore, total = Restorer(plain), [0, 0]
+        seen: dict[str, list[int]] = {"": [0] * 4}
+        restore = Restorer(plain)
         for part in row_batches(batches):
-            for y, text in zip(part.column("y").to_pylist(), part.column("text").to_pylist(), strict=True):
-                total[y] += 1
-                for f in {f for w in set(WORD.findall(restore(text))) for f in parts(w)}:
-                    seen.setdefault(f, [0, 0])[y] += 1
-        seen[""] = total
-        yield pa.RecordBatch.from_arrays([pa.array(list(seen)), pa.array([v[1] for v in seen.values()], pa.int64()), pa.array([v[0] for v in seen.values()], pa.int64())], names=["f", "a", "b"])
-
-    summed = rows.where(half == 0).mapInArrow(features, "f string, a long, b long").groupBy("f").agg(F.sum("a").alias("a"), F.sum("b").alias("b"))
+            for y, half, text in zip(part.column("y").to_pylist(), part.column("half").to_pylist(), part.column("text").to_pylist(), strict=True):
+                for f in {"", *(f for w in set(WORD.findall(restore(text))) for f in parts(w))}:
+                    seen.setdefault(f, [0] * 4)[2 * half + y] += 1
+        yield pa.RecordBatch.from_arrays([pa.array(list(seen)), *(pa.array([v[k] for v in seen.values()], pa.int64()) for k in range(4))], names=["f", "b0", "a0", "b1", "a1"])
+
+    summed = rows.mapInArrow(features, "f string, b0 long, a0 long, b1 long, a1 long").groupBy("f").agg(*(F.sum(c).alias(c) for c in ("b0", "a0", "b1", "a1")))
     # words of a bounded sample, and of these only what leans to toxic documents
-    found = summed.where("f = '' or (a >= 5 and a > 2 * b)").orderBy(F.desc(F.col("f") == ""), F.desc("a"), "f").limit(MOST_FEATURES).collect()
-    n1, n0 = next(((r["a"], r["b"]) for r in found if r["f"] == ""), (0, 0))
-    weights = strengths([(r["f"], r["a"], r["b"]) for r in found if r["f"]], n1, n0)
+    lean = min(known[1], per_class) / min(known[0], per_class)
+    found = summed.where(f"f = '' or (a0 + a1 >= {LEAST_SEEN} and a0 + a1 > 2 * {lean} * (b0 + b1))").orderBy(F.desc(F.col("f") == ""), F.desc(F.col("a0") + F.col("a1")), "f").limit(MOST_FEATURES).collect()
+    total = next(r for r in found if r["f"] == "")
+
+    def learned(*halves: int) -> dict[str, float]:
+        of = lambda r, c: sum(r[f"{c}{h}"] for h in halves)
+        return strengths([(r["f"], of(r, "a"), of(r, "b")) for r in found if r["f"]], of(total, "a"), of(total, "b"))
+
+    weights, other = learned(0, 1), (learned(1), learned(0))
     log_p = language_model(counts, {w: x for w, x in weights.items() if not w.endswith("-")})
 
     def measure(batch: pa.RecordBatch) -> dict:
         restore = Restorer(log_p)
-        e = np.array([evidence(t, restore, weights) for t in batch.column("text").to_pylist()]).reshape(-1, 4)
+        # a half is measured with what the other one taught
+        e = np.array([evidence(t, restore, other[h]) for t, h in zip(batch.column("text").to_pylist(), batch.column("half").to_pylist(), strict=True)]).reshape(-1, 4)
         return {"y": batch.column("y")} | {f"x{k}": e[:, k] for k in range(4)}
 
-    x = np.array(sorted(map(tuple, map_rows(rows.where(half == 1), measure, "y int, x0 double, x1 double, x2 double, x3 double").collect()))).reshape(-1, 5)
+    x = np.array(sorted(map(tuple, map_rows(rows, measure, "y int, x0 double, x1 double, x2 double, x3 double").collect()))).reshape(-1, 5)
     if len(set(x[:, 0])) < 2:
         return flat
     return Model(log_p, weights, tuple(map(float, logistic(x[:, 1:], x[:, 0], penalty=0.5, weight=prior_weights(x[:, 0], known)))))
