@@ -50,6 +50,8 @@ https://m.free-spins.example.com/en/5#top https://ads-track.example.com/en/17 ht
 https://ads-server.example.org/pixel.html http://www.ads-click.example.com/de/92/ https://spam-farm.example.com/en/8
 http://spam-links.example.net/fr/27.html https://link-farm.example.org/en/6?utm_source=feed http://www.spam-blog.example.com/es/31
 https://cheap-pills.example.com/en/2 http://pills-shop.example.net/buy https://www.cheap-meds.example.org/de/14.html
+https://www.cheap-pills.example.com/fr/4 http://www.casino-win.example.org/de/7#top https://m.free-bets.example.com/es/2.html http://m.spam-farm.example.net/en/90
+https://www.ads-track.example.com/es/5/ http://blog.casino-win.example.com/en/3 https://blog.cheap-pills.example.org/en/1?page=2 http://www.free-bets.example.net/en/33
 http://cheap-viagra.example.com/fr/7/ https://adult-x.example.net/en/40 http://adult-cam.example.com/de/66?page=2
 https://www.adult-video.example.org/en/73.html http://xxx-adult.example.net/es/19#top https://m.adult-x.example.com/fr/28
 """.split()
