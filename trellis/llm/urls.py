@@ -65,6 +65,8 @@ https://tionsh.example.com/en/2 http://bookshop.example.net/buy https://www.hosp
 http://travel.example.com/fr/7/ https://music.example.net/en/40 http://thether.example.com/de/66?page=2
 https://blog.thatin.example.net/en/11 http://thaner.example.net/de/5/ https://www.thores.example.net/fr/61.html http://m.thentis.example.org/en/9?page=2&ref=x
 https://tionhe.example.net/es/70#top http://blog.tionan.example.org/de/8 https://there.example.net/en/35?utm_source=feed http://www.thisin.example.net/en/54/
+https://www.therin.example.com/en/21 http://www.thoned.example.com/fr/6/ https://www.thtion.example.org/de/3 http://blog.theras.example.net/en/88.html
+https://www.tiontha.example.com/es/13?page=2 http://www.thatou.example.com/en/47#top https://blog.thener.example.com/de/2 http://www.thishe.example.org/fr/77
 https://www.sports.example.org/en/73.html http://blog.cooking.example.net/es/19#top https://m.thand.example.com/fr/28
 """.split()
 
