@@ -51,6 +51,12 @@ def op7_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash_classes(table(spark, sf_dir, "documents"))
 
 
+def op8_lossless_webp(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .webp import media_columns
+
+    return media_columns(table(spark, sf_dir, "documents"))
+
+
 def op9_benchmark_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .decontam import contamination
 
@@ -63,5 +69,5 @@ def op10_consistent_hash_sharding(spark: SparkSession, sf_dir: str) -> DataFrame
     return shard_documents(spark, table(spark, sf_dir, "documents"))
 
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_compression_quality, op2_noisy_channel_toxicity, op3_best_fit_packing, op5_url_filter, op6_language_spans, op7_simhash_near_dedup, op9_benchmark_decontamination, op10_consistent_hash_sharding)}
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_compression_quality, op2_noisy_channel_toxicity, op3_best_fit_packing, op5_url_filter, op6_language_spans, op7_simhash_near_dedup, op8_lossless_webp, op9_benchmark_decontamination, op10_consistent_hash_sharding)}
 ORACLE_SQL: dict[str, str] = {}
