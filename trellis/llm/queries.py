@@ -33,6 +33,12 @@ def op3_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pack(spark, table(spark, sf_dir, "documents"), *tokenizer())
 
 
+def op4_pii_surrogates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .pii import surrogate_documents
+
+    return surrogate_documents(table(spark, sf_dir, "documents"))
+
+
 def op5_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .urls import judge, labelled_urls
 
@@ -69,5 +75,5 @@ def op10_consistent_hash_sharding(spark: SparkSession, sf_dir: str) -> DataFrame
     return shard_documents(spark, table(spark, sf_dir, "documents"))
 
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_compression_quality, op2_noisy_channel_toxicity, op3_best_fit_packing, op5_url_filter, op6_language_spans, op7_simhash_near_dedup, op8_lossless_webp, op9_benchmark_decontamination, op10_consistent_hash_sharding)}
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_compression_quality, op2_noisy_channel_toxicity, op3_best_fit_packing, op4_pii_surrogates, op5_url_filter, op6_language_spans, op7_simhash_near_dedup, op8_lossless_webp, op9_benchmark_decontamination, op10_consistent_hash_sharding)}
 ORACLE_SQL: dict[str, str] = {}
