@@ -17,17 +17,16 @@ from __future__ import annotations
 
 import hashlib
 import re
+from collections.abc import Iterator
 from functools import lru_cache
 from itertools import accumulate
 
 import ahocorasick
 import numpy as np
-import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+import pandas as pd
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import map_rows
-
 #: Words of one window.
 WINDOW = 13
 #: Item bytes of one automaton.
@@ -109,40 +108,53 @@ def _blocks(items: list[tuple[str, str]], most: int) -> list[tuple[tuple[str, st
     return [tuple(x) for x in out if x]
 
 
-def contamination(spark: SparkSession, docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, share: int = 20, spans: bool = False, most_bytes: int = MOST_BYTES, keep: list[str] | None = None) -> DataFrame:
-    """doc_id, n_words, n_hit, n_items, items_sha256, contaminated (and spans) for every document.
-
-    contaminated: a word in `share` or more is hit. `keep` names further columns to carry along.
-    """
+def benchmark_blocks(benchmark: DataFrame, most_bytes: int = MOST_BYTES) -> list[tuple[tuple[str, str], ...]]:
+    """The items, collected behind a check of their size, in blocks of one automaton each."""
     size = benchmark.agg(F.sum(F.octet_length("text"))).first()[0] or 0
     if size > MOST_BENCHMARK:
         raise ValueError(f"the benchmark has {size} bytes; at most {MOST_BENCHMARK} are sent to the executors: call once for each part of it")
-    items = sorted({(str(r["item_id"]), r["text"]) for r in benchmark.where("item_id is not null and text is not null").select("item_id", "text").distinct().toLocalIterator()})
-    blocks = _blocks(items, most_bytes)
-    extra = [c for c in keep or [] if c not in ("doc_id", "text")]
-    given = docs.select("doc_id", "text", *extra)
-    outs = [f"`{f.name}` {f.dataType.simpleString()}" for f in given.schema.fields if f.name in extra]
-    schema = ", ".join(["doc_id long"] + (["text string", *outs] if keep is not None else []) + ["n_words long", "n_hit long", "n_items long", "items_sha256 string", "contaminated boolean"] + ["spans array<struct<a: int, b: int>>"] * spans)
-
-    def work(batch: pa.RecordBatch) -> dict:
+    items = sorted({(str(r["item_id"]), r["text"]) for r in benchmark.where("item_id is not null and text is not null").select("item_id", "text").distinct().collect()})
+    return _blocks(items, most_bytes)
+
+
+def judged(text: str | None, autos: list[ahocorasick.Automaton], share: int) -> dict:
+    n, found, _ = scan(text, autos)
+    hit = 0
+    if found:
+        edge = np.zeros(n + 1, np.int32)
+        np.add.at(edge, [f[0] for f in found], 1)
+        np.add.at(edge, [f[1] for f in found], -1)
+        hit = int((np.cumsum(edge)[:n] > 0).sum())
+    keys = sorted({k for f in found for k in f[2]})
+    return {"n_words": n, "n_hit": hit, "n_items": len(keys), "items_sha256": hashlib.sha256(",".join(keys).encode()).hexdigest(), "contaminated": hit > 0 and share * hit >= n, "spans": [{"a": a, "b": b} for a, b in original_spans(text, found)] if found else []}
+
+
+#: What `judged` gives; spans are character offsets in the original text.
+RESULT = "n_words long, n_hit long, n_items long, items_sha256 string, contaminated boolean, spans array<struct<a: int, b: int>>"
+
+
+def judged_column(benchmark: DataFrame, window: int = WINDOW, share: int = 20, most_bytes: int = MOST_BYTES, text: str = "text") -> Column:
+    """The judgement as a struct column: only texts travel to Python."""
+    blocks = benchmark_blocks(benchmark, most_bytes)
+
+    @F.pandas_udf(RESULT)
+    def judge(parts: Iterator[pd.Series]) -> Iterator[pd.DataFrame]:
         autos = [_automaton(b, window) for b in blocks]
-        texts = batch.column("text").to_pylist()
-        out = {"doc_id": batch.column("doc_id"), "text": batch.column("text"), **{c: batch.column(c) for c in extra}} | {k: [] for k in ("n_words", "n_hit", "n_items", "items_sha256", "contaminated", "spans")}
-        for text in texts:
-            n, found, _ = scan(text, autos)
-            hit = 0
-            if found:
-                edge = np.zeros(n + 1, np.int32)
-                np.add.at(edge, [f[0] for f in found], 1)
-                np.add.at(edge, [f[1] for f in found], -1)
-                hit = int((np.cumsum(edge)[:n] > 0).sum())
-            keys = sorted({k for f in found for k in f[2]})
-            out["n_words"].append(n)
-            out["n_hit"].append(hit)
-            out["n_items"].append(len(keys))
-            out["items_sha256"].append(hashlib.sha256(",".join(keys).encode()).hexdigest())
-            out["contaminated"].append(hit > 0 and share * hit >= n)
-            out["spans"].append([{"a": a, "b": b} for a, b in original_spans(text, found)] if spans and found else [])
-        return out
-
-    return map_rows(given.withColumn("doc_id", F.col("doc_id").cast("long")), work, schema)
+        for part in parts:
+            yield pd.DataFrame([judged(t, autos, share) for t in part], columns=[f.split()[0] for f in RESULT.split(", ")[:6]])
+
+    return judge(F.col(text))
+
+
+def contamination(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, share: int = 20) -> DataFrame:
+    """doc_id, n_words, n_hit, n_items, items_sha256, contaminated and spans for every document.
+
+    contaminated: one word in `share`, or more, is hit.
+    """
+    out = docs.select(F.col("doc_id").cast("long").alias("doc_id"), judged_column(benchmark, window, share).alias("__j"))
+    return out.select("doc_id", "__j.n_words", "__j.n_hit", "__j.n_items", "__j.items_sha256", "__j.contaminated", "__j.spans")
+
+
+def without_contaminated(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, share: int = 20) -> DataFrame:
+    """Docs, with all their columns, that aren't contaminated."""
+    return docs.withColumn("__j", judged_column(benchmark, window, share)).where("not __j.contaminated").drop("__j")

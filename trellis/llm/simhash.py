@@ -22,6 +22,7 @@ from itertools import combinations
 import numpy as np
 import pyarrow as pa
 import xxhash
+from pyspark.errors import AnalysisException
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -83,12 +84,12 @@ def ball_links(distinct: DataFrame, radius: int) -> DataFrame:
 
 
 def classes(rows: DataFrame, links: DataFrame, node: str) -> DataFrame:
-    """(node, component_id) of every distinct node: the least doc_id that links reach."""
+    """(node, class, component_id) of every distinct node: its root, and the least doc_id that links reach."""
     own = rows.groupBy(node).agg(F.min("doc_id").alias("__own"))
     roots = components(links).withColumnRenamed("node", node)
     rooted = own.join(roots, node, "left").withColumn("root", F.coalesce("root", node))
     least = rooted.groupBy("root").agg(F.min("__own").alias("component_id"))
-    return checkpointed(rooted.join(least, "root").select(node, "component_id"))
+    return checkpointed(rooted.join(least, "root").select(node, F.col("root").alias("class"), "component_id"))
 
 
 def simhash_classes(docs: DataFrame, n: int = 3, radius: int = 2) -> DataFrame:
@@ -96,3 +97,125 @@ def simhash_classes(docs: DataFrame, n: int = 3, radius: int = 2) -> DataFrame:
     rows = checkpointed(fingerprints(docs, n))
     named = classes(rows, ball_links(rows.select("fp").distinct(), radius), "fp")
     return rows.join(named, "fp").select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
+
+
+# --- a similarity of shingle sets -------------------------------------------------------------------
+
+#: MinHash bands, and rows of each: a pair of similarity 0.8 shares a band with probability 0.998.
+BANDS, ROWS = 16, 5
+_MULTIPLY = np.random.default_rng(7).integers(1, 1 << 62, BANDS * ROWS, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+
+
+def bands(h: np.ndarray) -> list[int]:
+    """Keys of the bands of a set of shingle hashes, as signed longs."""
+    low = np.full(BANDS * ROWS, np.iinfo(np.uint64).max, np.uint64)
+    with np.errstate(over="ignore"):
+        for at in range(0, len(h), 4096):
+            low = np.minimum(low, _mixed(h[at : at + 4096, None] * _MULTIPLY).min(0))
+        key = np.zeros(BANDS, np.uint64)
+        for row in low.reshape(BANDS, ROWS).T:
+            key = _mixed(key * np.uint64(0x9E3779B97F4A7C15) + row)
+    return key.view(np.int64).tolist()
+
+
+def _mixed(x: np.ndarray) -> np.ndarray:
+    x = x ^ (x >> np.uint64(31))
+    return x * np.uint64(0xBF58476D1CE4E5B9)
+
+
+def node_of(text: str | None) -> str:
+    """Name of a text's words: texts of equal words, but for A-Z's case and spacing, are one node."""
+    return xxhash.xxh3_128_hexdigest(b" ".join((text or "").encode("utf-8", "surrogatepass").lower().split()))
+
+
+def sketches(docs: DataFrame, n: int, keys: list[str]) -> DataFrame:
+    """The key columns (longs), doc_id, node, fp and band keys of every row."""
+
+    def work(batch: pa.RecordBatch) -> dict:
+        texts, fps, sets = batch.column("text").to_pylist(), [], []
+        for t in texts:
+            h = hashes(shingles(t, n))
+            fps.append(fingerprint(h))
+            sets.append(bands(np.unique(h)))
+        return {k: batch.column(k) for k in (*keys, "doc_id")} | {"node": [node_of(t) for t in texts], "fp": np.array(fps, np.uint64).view(np.int64), "bands": sets}
+
+    given = docs.select(*keys, F.col("doc_id").cast("long").alias("doc_id"), "text")
+    return map_rows(given, work, ", ".join([*(f"{k} long" for k in keys), "doc_id long, node string, fp long, bands array<long>"]))
+
+
+def candidates(nodes: DataFrame, radius: int) -> DataFrame:
+    """Distinct pairs (a, b) of nodes to be verified.
+
+    Fingerprints that meet in a ball, or are equal, and bands that are shared: every node of such
+    a group is paired with the group's least and greatest node only, so pairs grow with the nodes
+    and not with the square of a group; the bands' groups overlap in different ways.
+    """
+    first = nodes.groupBy("fp").agg(F.min("node").alias("a"))
+    equal = nodes.join(first, "fp").select("a", F.col("node").alias("b"))
+    links = ball_links(first.select("fp"), radius)
+    ball_pairs = links.join(first.select(F.col("fp").alias("a"), F.col("a").alias("x")), "a").join(first.select(F.col("fp").alias("b"), F.col("a").alias("y")), "b").select(F.col("x").alias("a"), F.col("y").alias("b"))
+    member = nodes.select("node", F.posexplode("bands").alias("band", "key"))
+    ends = member.groupBy("band", "key").agg(F.min("node").alias("lo"), F.max("node").alias("hi")).where("lo != hi")
+    shared = member.join(ends, ["band", "key"])
+    pairs = equal.union(ball_pairs).union(shared.select("lo", "node")).union(shared.select("node", "hi")).where("a != b")
+    return pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+
+
+def verified(pairs: DataFrame, texts: DataFrame, n: int, similarity: float) -> DataFrame:
+    """The pairs whose whole shingle sets have the similarity (Jaccard); sets without shingles are equal."""
+
+    def work(batch: pa.RecordBatch) -> dict:
+        keep = []
+        for s, t in zip(batch.column("s").to_pylist(), batch.column("t").to_pylist(), strict=True):
+            x, y = set(shingles(s, n)), set(shingles(t, n))
+            both = len(x & y)
+            keep.append(both >= similarity * (len(x) + len(y) - both))
+        return {"a": batch.column("a"), "b": batch.column("b"), "keep": keep}
+
+    both = pairs.join(texts.select(F.col("node").alias("a"), F.col("text").alias("s")), "a").join(texts.select(F.col("node").alias("b"), F.col("text").alias("t")), "b")
+    return map_rows(both.select("a", "b", "s", "t"), work, "a string, b string, keep boolean").where("keep").select("a", "b")
+
+
+#: Columns that name a row.
+KEYS = ["__file", "__row"]
+
+
+def row_keys(docs: DataFrame) -> DataFrame:
+    """Docs with two columns that name a row in the same way each time it is read.
+
+    Rows of files are named by file and position, which don't depend on how a scan is split;
+    other tables are first cut into the shared folder.
+    """
+    try:
+        named = docs.withColumn("__file", F.xxhash64(F.col("_metadata.file_path"))).withColumn("__row", F.col("_metadata.row_index"))
+        named.schema  # noqa: B018  analysis fails here where there is no such metadata
+        return named
+    except AnalysisException:
+        return checkpointed(docs.withColumn("__file", F.lit(0).cast("long")).withColumn("__row", F.monotonically_increasing_id()))
+
+
+def near_duplicates(named: DataFrame, n: int = 5, radius: int = 2, similarity: float = 0.8) -> DataFrame:
+    """Row keys, doc_id, node, class, component_id and keep of every row of docs with row keys.
+
+    keep marks one row of each class: the least doc_id, then the first by row keys.
+    """
+    keys = KEYS
+    rows = checkpointed(sketches(named, n, keys))
+    nodes = rows.select("node", "fp", "bands").dropDuplicates(["node"])
+    pairs = checkpointed(candidates(nodes, radius))
+    wanted = pairs.select(F.explode(F.array("a", "b")).alias("node")).distinct()
+    place = rows.groupBy("node").agg(F.min(F.struct(*keys)).alias("at")).join(wanted, "node").select("node", *[F.col(f"at.{k}").alias(k) for k in keys])
+    texts = named.select(*keys, "text").join(place, keys).select("node", "text")
+    links = verified(pairs, texts, n, similarity)
+    named_classes = classes(rows.select("node", "doc_id"), links, "node")
+    marked = rows.select(*keys, "doc_id", "node").join(named_classes, "node")
+    # the class is named by its root, since doc_ids may repeat or be missing
+    first = marked.groupBy("class").agg(F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", *keys)).alias("first"))
+    return marked.join(first, "class").withColumn("keep", F.struct(*keys) == F.struct(*[F.col(f"first.{k}").alias(k) for k in keys])).drop("first")
+
+
+def without_near_duplicates(docs: DataFrame, n: int = 5, radius: int = 2, similarity: float = 0.8) -> DataFrame:
+    """Docs, with all their columns, one of each class of near-duplicates."""
+    named = row_keys(docs)
+    dropped = near_duplicates(named, n, radius, similarity).where("not keep").select(*KEYS)
+    return named.join(dropped, KEYS, "left_anti").drop(*KEYS)

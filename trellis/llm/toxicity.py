@@ -27,11 +27,12 @@ from dataclasses import dataclass
 from functools import lru_cache
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import fold, labelled_sample, logistic, map_rows, prior_weights, row_batches, sigmoid
+from .common import ROWS_AT_ONCE, fold, labelled_sample, logistic, map_rows, prior_weights, row_batches, sigmoid
 
 #: Labelled documents taken of each class.
 PER_CLASS = 3000
@@ -272,27 +273,25 @@ def score(texts: list[str | None], model: Model, restore: Restorer | None = None
     return sigmoid(x @ np.array(model.calibration[:-1]) + model.calibration[-1])
 
 
-def classify(docs: DataFrame, labels: DataFrame, threshold: float = 0.7, per_class: int = PER_CLASS) -> DataFrame:
-    """doc_id, held_out, score, predicted for every row."""
-    return scored(docs, train(docs, labels, per_class), threshold, [])
+def score_column(model: Model, text: str = "text") -> Column:
+    """The score as a column: only texts travel to Python, all other columns stay where they are."""
 
+    @F.pandas_udf("double")
+    def scores(parts: Iterator[pd.Series]) -> Iterator[pd.Series]:
+        restore = Restorer(model.log_p)
+        for part in parts:
+            yield pd.Series(np.concatenate([score(list(part.iloc[at : at + ROWS_AT_ONCE]), model, restore) for at in range(0, len(part), ROWS_AT_ONCE)] or [np.zeros(0)]))
 
-def scored(docs: DataFrame, model: Model, threshold: float, keep: list[str]) -> DataFrame:
-    """doc_id, held_out, score, predicted, and the columns of `keep`, for every row of docs."""
-    given = docs.select(F.col("doc_id").cast("long").alias("doc_id"), (fold("doc_id", 3) == 1).alias("held_out"), "text", *keep)
-    held = [f"`{f.name}` {f.dataType.simpleString()}" for f in given.schema.fields if f.name in keep]
-    types = "doc_id long, held_out boolean, score double, predicted int"
-    names = ["doc_id", "held_out", "score", "predicted"]
-    schema = ", ".join([types, *(["text string", *held] if keep else [])])
-    kinds = given.select("text", *keep).schema if keep else None
+    return scores(F.col(text))
+
+
+def classify(docs: DataFrame, labels: DataFrame, threshold: float = 0.7, per_class: int = PER_CLASS) -> DataFrame:
+    """doc_id, held_out, score, predicted for every row."""
+    model = train(docs, labels, per_class)
+    out = docs.select(F.col("doc_id").cast("long").alias("doc_id"), (fold("doc_id", 3) == 1).alias("held_out"), score_column(model).alias("score"))
+    return out.withColumn("predicted", (F.col("score") >= threshold).cast("int"))
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        restore = Restorer(model.log_p)
-        for part in row_batches(batches):
-            s = score(part.column("text").to_pylist(), model, restore)
-            columns = [part.column("doc_id"), part.column("held_out"), pa.array(s), pa.array((s >= threshold).astype(np.int32))]
-            if kinds is not None:
-                columns += [part.column(f.name) for f in kinds.fields]
-            yield pa.RecordBatch.from_arrays(columns, names=[*names, *([f.name for f in kinds.fields] if kinds is not None else [])])
 
-    return given.mapInArrow(run, schema)
+def without_toxic(docs: DataFrame, labels: DataFrame, threshold: float = 0.7, per_class: int = PER_CLASS) -> DataFrame:
+    """Docs, with all their columns, of a score below the threshold."""
+    return docs.withColumn("__toxic", score_column(train(docs, labels, per_class))).where(F.col("__toxic") < threshold).drop("__toxic")
