@@ -15,11 +15,14 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from ..session import ship
+
 #: Rows that a Python operator holds decoded at once; texts are whole, so this bounds memory by rows.
 ROWS_AT_ONCE = 256
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    ship(spark)
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
@@ -48,6 +51,7 @@ def row_batches(batches: Iterator[pa.RecordBatch], rows: int = ROWS_AT_ONCE) ->
 
 def map_rows(df: DataFrame, work: Callable[[pa.RecordBatch], dict], schema: str, rows: int = ROWS_AT_ONCE) -> DataFrame:
     """mapInArrow over slices of bounded row count; `work` returns {column: values} in schema order."""
+    ship(df.sparkSession)
     types = pa.schema([(f.name, _arrow(f.dataType)) for f in _fields(df, schema)])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

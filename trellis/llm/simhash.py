@@ -101,8 +101,8 @@ def simhash_classes(docs: DataFrame, n: int = 3, radius: int = 2) -> DataFrame:
 
 # --- a similarity of shingle sets -------------------------------------------------------------------
 
-#: MinHash bands, and rows of each: a pair of similarity 0.8 shares a band with probability 0.998.
-BANDS, ROWS = 16, 5
+#: MinHash bands, and rows of each: a pair of similarity 0.8 shares a band with probability 0.9996.
+BANDS, ROWS = 20, 5
 _MULTIPLY = np.random.default_rng(7).integers(1, 1 << 62, BANDS * ROWS, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 
 
