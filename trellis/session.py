@@ -6,7 +6,7 @@ import os
 import shutil
 import tempfile
 
-from pyspark.sql import SparkSession
+from pyspark.sql import DataFrame, SparkSession
 
 
 def ship(spark: SparkSession) -> None:
@@ -20,3 +20,20 @@ def ship(spark: SparkSession) -> None:
     shutil.copytree(root, copy, ignore=shutil.ignore_patterns("__pycache__"))
     sc.addPyFile(shutil.make_archive(os.path.join(folder, "trellis_code"), "zip", os.path.join(folder, "src")))
     sc._trellis_shipped = True
+
+
+def shared_folder(spark: SparkSession) -> str:
+    """The checkpoint folder that all machines share; a private one only in local mode."""
+    sc = spark.sparkContext
+    if not sc.getCheckpointDir():
+        shared = sc.getConf().get("spark.checkpoint.dir")
+        if not shared and not sc.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
+        sc.setCheckpointDir(shared or tempfile.mkdtemp(prefix="trellis-checkpoint-"))
+    return sc.getCheckpointDir()
+
+
+def checkpointed(df: DataFrame) -> DataFrame:
+    """Cut lineage into the shared folder."""
+    shared_folder(df.sparkSession)
+    return df.checkpoint(eager=True)
