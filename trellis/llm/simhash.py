@@ -112,7 +112,7 @@ def bands(h: np.ndarray) -> list[int]:
     with np.errstate(over="ignore"):
         for at in range(0, len(h), 4096):
             low = np.minimum(low, _mixed(h[at : at + 4096, None] * _MULTIPLY).min(0))
-        key = np.zeros(BANDS, np.uint64)
+        key = np.arange(1, BANDS + 1, dtype=np.uint64)
         for row in low.reshape(BANDS, ROWS).T:
             key = _mixed(key * np.uint64(0x9E3779B97F4A7C15) + row)
     return key.view(np.int64).tolist()
@@ -123,9 +123,9 @@ def _mixed(x: np.ndarray) -> np.ndarray:
     return x * np.uint64(0xBF58476D1CE4E5B9)
 
 
-def node_of(text: str | None) -> str:
+def node_of(text: str | None) -> bytes:
     """Name of a text's words: texts of equal words, but for A-Z's case and spacing, are one node."""
-    return xxhash.xxh3_128_hexdigest(b" ".join((text or "").encode("utf-8", "surrogatepass").lower().split()))
+    return xxhash.xxh3_128_digest(b" ".join((text or "").encode("utf-8", "surrogatepass").lower().split()))
 
 
 def sketches(docs: DataFrame, n: int, keys: list[str]) -> DataFrame:
@@ -140,7 +140,7 @@ def sketches(docs: DataFrame, n: int, keys: list[str]) -> DataFrame:
         return {k: batch.column(k) for k in (*keys, "doc_id")} | {"node": [node_of(t) for t in texts], "fp": np.array(fps, np.uint64).view(np.int64), "bands": sets}
 
     given = docs.select(*keys, F.col("doc_id").cast("long").alias("doc_id"), "text")
-    return map_rows(given, work, ", ".join([*(f"{k} long" for k in keys), "doc_id long, node string, fp long, bands array<long>"]))
+    return map_rows(given, work, ", ".join([*(f"{k} long" for k in keys), "doc_id long, node binary, fp long, bands array<long>"]))
 
 
 def candidates(nodes: DataFrame, radius: int) -> DataFrame:
@@ -154,9 +154,9 @@ def candidates(nodes: DataFrame, radius: int) -> DataFrame:
     equal = nodes.join(first, "fp").select("a", F.col("node").alias("b"))
     links = ball_links(first.select("fp"), radius)
     ball_pairs = links.join(first.select(F.col("fp").alias("a"), F.col("a").alias("x")), "a").join(first.select(F.col("fp").alias("b"), F.col("a").alias("y")), "b").select(F.col("x").alias("a"), F.col("y").alias("b"))
-    member = nodes.select("node", F.posexplode("bands").alias("band", "key"))
-    ends = member.groupBy("band", "key").agg(F.min("node").alias("lo"), F.max("node").alias("hi")).where("lo != hi")
-    shared = member.join(ends, ["band", "key"])
+    member = nodes.select("node", F.explode("bands").alias("key"))
+    ends = member.groupBy("key").agg(F.min("node").alias("lo"), F.max("node").alias("hi")).where("lo != hi")
+    shared = member.join(ends, "key")
     pairs = equal.union(ball_pairs).union(shared.select("lo", "node")).union(shared.select("node", "hi")).where("a != b")
     return pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
 
@@ -173,7 +173,7 @@ def verified(pairs: DataFrame, texts: DataFrame, n: int, similarity: float) -> D
         return {"a": batch.column("a"), "b": batch.column("b"), "keep": keep}
 
     both = pairs.join(texts.select(F.col("node").alias("a"), F.col("text").alias("s")), "a").join(texts.select(F.col("node").alias("b"), F.col("text").alias("t")), "b")
-    return map_rows(both.select("a", "b", "s", "t"), work, "a string, b string, keep boolean").where("keep").select("a", "b")
+    return map_rows(both.select("a", "b", "s", "t"), work, "a binary, b binary, keep boolean").where("keep").select("a", "b")
 
 
 #: Columns that name a row.
