@@ -155,7 +155,7 @@ def min_cut(triples: DataFrame, parts: int, rounds: int = 5, slack: float = 1.1,
 def edge_cut(triples: DataFrame, label: DataFrame) -> DataFrame:
     """One row: edges, cut edges, and their ratio, which is what one-hop replication of cut edges adds."""
     ends = triples.select("s", "o").join(label.select(F.col("v").alias("s"), F.col("part").alias("a")), "s").join(label.select(F.col("v").alias("o"), F.col("part").alias("b")), "o")
-    return ends.agg(F.count("*").alias("edges"), F.count_if("a != b").alias("cut")).withColumn("ratio", F.col("cut") / F.col("edges"))
+    return ends.agg(F.count("*").alias("edges"), F.count_if(F.col("a") != F.col("b")).alias("cut")).withColumn("ratio", F.col("cut") / F.col("edges"))
 
 
 def summary_graph(triples: DataFrame, label: DataFrame) -> DataFrame:

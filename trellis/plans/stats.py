@@ -102,7 +102,7 @@ def profile(triples: DataFrame) -> DataFrame:
     """One row: triples, distinct ends and their overlap, predicates, and in- and out-degree means and deviations."""
     d = vertex_degree(triples)
     ends = d.agg(
-        F.sum("deg_out").alias("triples"), F.count_if("deg_out > 0").alias("subjects"), F.count_if("deg_in > 0").alias("objects"), F.count_if("deg_out > 0 and deg_in > 0").alias("both"),
+        F.sum("deg_out").alias("triples"), F.count_if(F.col("deg_out") > 0).alias("subjects"), F.count_if(F.col("deg_in") > 0).alias("objects"), F.count_if((F.col("deg_out") > 0) & (F.col("deg_in") > 0)).alias("both"),
         F.avg(F.when(F.col("deg_in") > 0, F.col("deg_in"))).alias("in_avg"), F.stddev_pop(F.when(F.col("deg_in") > 0, F.col("deg_in"))).alias("in_sd"),
         F.avg(F.when(F.col("deg_out") > 0, F.col("deg_out"))).alias("out_avg"), F.stddev_pop(F.when(F.col("deg_out") > 0, F.col("deg_out"))).alias("out_sd"),
     )
