@@ -246,7 +246,9 @@ def train(docs: DataFrame, labels: DataFrame, per_class: int = PER_CLASS) -> Mod
     # words of a bounded sample, and of these only what leans to toxic documents
     lean = min(known[1], per_class) / min(known[0], per_class)
     found = summed.where(f"f = '' or (a0 + a1 >= {LEAST_SEEN} and a0 + a1 > 2 * {lean} * (b0 + b1))").orderBy(F.desc(F.col("f") == ""), F.desc(F.col("a0") + F.col("a1")), "f").limit(MOST_FEATURES).collect()
-    total = next(r for r in found if r["f"] == "")
+    total = next((r for r in found if r["f"] == ""), None)
+    if total is None:  # labels, but none of a document that is here
+        return flat
 
     def learned(*halves: int) -> dict[str, float]:
         of = lambda r, c: sum(r[f"{c}{h}"] for h in halves)
