@@ -21,8 +21,20 @@ from ..session import ship
 ROWS_AT_ONCE = 256
 
 
-def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+#: Rows of one Arrow batch: whole texts travel in it, so this bounds a worker's memory.
+ARROW_ROWS = 1000
+
+
+def ready(spark: SparkSession) -> None:
+    """The package on the executors, and Arrow batches of bounded row count (a run-time setting)."""
     ship(spark)
+    name = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if not 0 < int(spark.conf.get(name, "10000")) <= ARROW_ROWS:
+        spark.conf.set(name, str(ARROW_ROWS))
+
+
+def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    ready(spark)
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
@@ -51,7 +63,7 @@ def row_batches(batches: Iterator[pa.RecordBatch], rows: int = ROWS_AT_ONCE) ->
 
 def map_rows(df: DataFrame, work: Callable[[pa.RecordBatch], dict], schema: str, rows: int = ROWS_AT_ONCE) -> DataFrame:
     """mapInArrow over slices of bounded row count; `work` returns {column: values} in schema order."""
-    ship(df.sparkSession)
+    ready(df.sparkSession)
     types = pa.schema([(f.name, _arrow(f.dataType)) for f in _fields(df, schema)])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
