@@ -135,7 +135,7 @@ def _played(engine: Engine, queries: list[tuple[str, BGP]]) -> list[tuple]:
 PLAYED = "k int, query string, mode string, seconds double, moved long, replicas long, made int, evicted int"
 
 
-def drift(spark: SparkSession, sf_dir: str, n: int = 12) -> DataFrame:
+def drift(spark: SparkSession, sf_dir: str, n: int = 8) -> DataFrame:
     """One family after the other: cumulative seconds and values moved, adaptive and not, under a budget."""
     store, rows = store_of(spark, sf_dir, WORKERS), []
     queries = div_workload(n, "CFSL", mixed=False)
@@ -166,14 +166,14 @@ def tree_policies(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _frame(spark, rows, "policy string, replicas long, touched long, modules int, parallel int, seconds double")
 
 
-def trained_pairs(spark: SparkSession, sf_dir: str, n: int = 3) -> DataFrame:
+def trained_pairs(spark: SparkSession, sf_dir: str, n: int = 2) -> DataFrame:
     """A mixed workload after training on two families and freezing, and with adaptation instead."""
     store, rows = store_of(spark, sf_dir, WORKERS), []
     test = div_workload(n, seed=11)
     for pair in (*TRAINING, "adaptive"):
         engine = Engine(store, threshold=2, budget=5.0)
         if pair != "adaptive":
-            engine.train([b for _, b in div_workload(16, pair, seed=5)]).freeze()
+            engine.train([b for _, b in div_workload(8, pair, seed=5)]).freeze()
         *_, last = _played(engine, test)
         rows.append((pair, last[3], last[4], last[5], sum(r.mode in ("parallel", "star", "empty") for r in engine.log)))
     return _frame(spark, rows, "training string, seconds double, moved long, replicas long, parallel int")
@@ -182,7 +182,7 @@ def trained_pairs(spark: SparkSession, sf_dir: str, n: int = 3) -> DataFrame:
 def load_balance(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Triples by worker after a workload, as shares, with the replication ratio."""
     store = store_of(spark, sf_dir, WORKERS)
-    engine = Engine(store, threshold=2, budget=5.0).train([b for _, b in div_workload(24, seed=2)])
+    engine = Engine(store, threshold=2, budget=5.0).train([b for _, b in div_workload(12, seed=2)])
     return placed_balance(store, engine).withColumn("replication", F.lit(engine.index.replicas / store.total))
 
 
