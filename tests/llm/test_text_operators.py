@@ -208,6 +208,32 @@ def test_similar_texts_meet(spark):
     assert sorted(r["doc_id"] for r in rows if r["keep"]) == sorted(set(want.values()))
 
 
+def similar_roots(texts):
+    """Roots of the classes by all pairs that share a shingle, however common it is."""
+    sets, at, near = [set(simhash.shingles(t, 5)) for t in texts], {}, set()
+    for k, x in enumerate(sets):
+        for w in x:
+            at.setdefault(w, []).append(k)
+    for ks in at.values():
+        near.update((a, b) for a in ks for b in ks if a < b)
+    return roots(len(texts), [(a, b) for a, b in near if len(sets[a] & sets[b]) >= 0.8 * len(sets[a] | sets[b])])
+
+
+def test_similar_texts_meet_in_hot_groups(spark):
+    """Pairs of similarity 0.8 among many texts that share most of their words, but are not similar enough."""
+    rng = np.random.default_rng(3)
+    word = lambda k: [f"w{x}" for x in rng.integers(0, 10**9, k)]
+    passage, texts = word(168), []
+    for _ in range(120):
+        own = word(32)
+        texts += [" ".join(passage + own), " ".join(passage + own[:11] + word(21))]
+    texts += [" ".join(word(30)) for _ in range(20)]
+    rows = simhash.near_duplicates(simhash.row_keys(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string"))).collect()
+    want = similar_roots(texts)
+    assert 120 <= len(set(want)) - 20 < 240
+    assert {r["doc_id"]: r["component_id"] for r in rows} == dict(enumerate(want))
+
+
 def test_one_of_each_class_stays(odd, none):
     kept = simhash.without_near_duplicates(odd)
     assert kept.columns == odd.columns

@@ -7,9 +7,12 @@ such a meeting itself proves the distance: two ways of at most radius/2 make at
 A variant is met by at most as many distinct fingerprints as it has variants itself (65), so no
 group grows with the data; each links its members to its least one, never to each other.
 
-`near_duplicates` adds, for a similarity of word shingles, MinHash bands as a second source of
-candidates, because 64-bit SimHash at a small radius misses most pairs of similarity 0.8 (they
-are about 10 bits apart); those candidates are verified on their whole shingle sets.
+`near_duplicates` finds all pairs of a similarity of word shingles, because 64-bit SimHash at a small
+radius misses most pairs of similarity 0.8 (they are about 10 bits apart). Its second source of
+candidates is exact: two sets of the similarity share one of the first shingles of each in any
+common order (`prefix`). Where these meet, nodes are first linked to the ends of their group; then
+all pairs of a group that no link connects yet are compared too. Candidates are verified on their
+whole shingle sets.
 
 Nulls: a null text is an empty one (fingerprint zero, linked like any other). Null doc_ids are
 kept; a class has the least non-null doc_id of its members. Repeated rows share a class.
@@ -17,6 +20,8 @@ kept; a class has the least non-null doc_id of its members. Repeated rows share
 
 from __future__ import annotations
 
+import math
+from collections.abc import Iterator
 from itertools import combinations
 
 import numpy as np
@@ -26,7 +31,7 @@ from pyspark.errors import AnalysisException
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import checkpointed, components, map_rows
+from .common import checkpointed, components, map_rows, ready, row_batches
 
 SEED = 42
 
@@ -101,26 +106,53 @@ def simhash_classes(docs: DataFrame, n: int = 3, radius: int = 2) -> DataFrame:
 
 # --- a similarity of shingle sets -------------------------------------------------------------------
 
-#: MinHash bands, and rows of each: a pair of similarity 0.8 shares a band with probability 0.9996.
-BANDS, ROWS = 20, 5
-_MULTIPLY = np.random.default_rng(7).integers(1, 1 << 62, BANDS * ROWS, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+#: Cells of the histogram of shingles, which is gathered at the driver.
+CELLS = 1 << 18
+#: Shingles of a prefix whose groups are linked to their ends before all others are compared.
+FIRST = 8
+#: Members of a group that are compared in one block.
+BLOCK = 200
 
 
-def bands(h: np.ndarray) -> list[int]:
-    """Keys of the bands of a set of shingle hashes, as signed longs."""
-    low = np.full(BANDS * ROWS, np.iinfo(np.uint64).max, np.uint64)
-    with np.errstate(over="ignore"):
-        for at in range(0, len(h), 4096):
-            low = np.minimum(low, _mixed(h[at : at + 4096, None] * _MULTIPLY).min(0))
-        key = np.arange(1, BANDS + 1, dtype=np.uint64)
-        for row in low.reshape(BANDS, ROWS).T:
-            key = _mixed(key * np.uint64(0x9E3779B97F4A7C15) + row)
-    return key.view(np.int64).tolist()
+def common_cells(docs: DataFrame, n: int) -> np.ndarray:
+    """Rough counts of shingle hashes by their remainder, for an order with the rare ones first.
 
-
-def _mixed(x: np.ndarray) -> np.ndarray:
-    x = x ^ (x >> np.uint64(31))
-    return x * np.uint64(0xBF58476D1CE4E5B9)
+    A task reports the cells that stand out among its own. No result depends on these counts: a
+    prefix may follow any order, and a good one only keeps groups small.
+    """
+    types = pa.schema([("k", pa.int32()), ("n", pa.int64())])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total = np.zeros(CELLS, np.int64)
+        for part in row_batches(batches):
+            some = [np.zeros(0, np.int64)]
+            for t in part.column(0).to_pylist():
+                h = hashes(shingles(t, n))
+                some.append((h % np.uint64(CELLS)).astype(np.int64))
+            total += np.bincount(np.concatenate(some), minlength=CELLS)
+        k = np.flatnonzero(total > 1 + 2 * total.mean())
+        yield pa.RecordBatch.from_arrays([pa.array(k, pa.int32()), pa.array(total[k], pa.int64())], schema=types)
+
+    ready(docs.sparkSession)
+    out = np.zeros(CELLS, np.int64)
+    for r in docs.select("text").mapInArrow(run, "k int, n long").groupBy("k").agg(F.sum("n").alias("n")).collect():
+        out[r["k"]] = r["n"]
+    return out
+
+
+def prefix(parts: list[bytes], h: np.ndarray, common: np.ndarray, similarity: float) -> tuple[int, list[int]]:
+    """Number of distinct shingles, and the hashes, as signed longs, of the first of them by commonness.
+
+    A set of m has `similarity` only with sets that hold at least similarity * m of it, so all but
+    the last of so many must be looked at. Shingles of one hash count each, so they cost no pair.
+    """
+    distinct = set(parts)
+    own = np.unique(h)
+    if len(own) < len(distinct):
+        own = np.sort(hashes(list(distinct)))
+    first = len(own) - math.ceil(similarity * len(own)) + 1
+    order = np.lexsort((own, common[(own % np.uint64(CELLS)).astype(np.int64)]))
+    return len(own), list(dict.fromkeys(own[order[:first]].view(np.int64).tolist()))
 
 
 def node_of(text: str | None) -> bytes:
@@ -128,39 +160,60 @@ def node_of(text: str | None) -> bytes:
     return xxhash.xxh3_128_digest(b" ".join((text or "").encode("utf-8", "surrogatepass").lower().split()))
 
 
-def sketches(docs: DataFrame, n: int, keys: list[str]) -> DataFrame:
-    """The key columns (longs), doc_id, node, fp and band keys of every row."""
+def sketches(docs: DataFrame, n: int, keys: list[str], similarity: float) -> DataFrame:
+    """The key columns (longs), doc_id, node, fp, number of shingles and prefix of every row."""
+    common = common_cells(docs, n)
 
     def work(batch: pa.RecordBatch) -> dict:
-        texts, fps, sets = batch.column("text").to_pylist(), [], []
+        texts, fps, sizes, sets = batch.column("text").to_pylist(), [], [], []
         for t in texts:
-            h = hashes(shingles(t, n))
+            parts = shingles(t, n)
+            h = hashes(parts)
             fps.append(fingerprint(h))
-            sets.append(bands(np.unique(h)))
-        return {k: batch.column(k) for k in (*keys, "doc_id")} | {"node": [node_of(t) for t in texts], "fp": np.array(fps, np.uint64).view(np.int64), "bands": sets}
+            size, first = prefix(parts, h, common, similarity)
+            sizes.append(size)
+            sets.append(first)
+        return {k: batch.column(k) for k in (*keys, "doc_id")} | {"node": [node_of(t) for t in texts], "fp": np.array(fps, np.uint64).view(np.int64), "size": sizes, "prefix": sets}
 
     given = docs.select(*keys, F.col("doc_id").cast("long").alias("doc_id"), "text")
-    return map_rows(given, work, ", ".join([*(f"{k} long" for k in keys), "doc_id long, node binary, fp long, bands array<long>"]))
+    return map_rows(given, work, ", ".join([*(f"{k} long" for k in keys), "doc_id long, node binary, fp long, size int, prefix array<long>"]))
 
 
 def candidates(nodes: DataFrame, radius: int) -> DataFrame:
-    """Distinct pairs (a, b) of nodes to be verified.
+    """Distinct pairs (a, b) of nodes that probably link.
 
-    Fingerprints that meet in a ball, or are equal, and bands that are shared: every node of such
-    a group is paired with the group's least and greatest node only, so pairs grow with the nodes
-    and not with the square of a group; the bands' groups overlap in different ways.
+    Fingerprints that meet in a ball, or are equal, and the first `FIRST` of each prefix: every
+    node of such a group is paired with the group's least and greatest node, so pairs grow with
+    the nodes and not with the square of a group. `rest` has what this leaves out.
     """
-    first = nodes.groupBy("fp").agg(F.min("node").alias("a"))
-    equal = nodes.join(first, "fp").select("a", F.col("node").alias("b"))
+    first = nodes.groupBy("fp").agg(F.min("id").alias("a"))
+    equal = nodes.join(first, "fp").select("a", F.col("id").alias("b"))
     links = ball_links(first.select("fp"), radius)
     ball_pairs = links.join(first.select(F.col("fp").alias("a"), F.col("a").alias("x")), "a").join(first.select(F.col("fp").alias("b"), F.col("a").alias("y")), "b").select(F.col("x").alias("a"), F.col("y").alias("b"))
-    member = nodes.select("node", F.explode("bands").alias("key"))
-    ends = member.groupBy("key").agg(F.min("node").alias("lo"), F.max("node").alias("hi")).where("lo != hi")
-    shared = member.join(ends, "key")
-    pairs = equal.union(ball_pairs).union(shared.select("lo", "node")).union(shared.select("node", "hi")).where("a != b")
+    of = Window.partitionBy("key")
+    shared = nodes.select("id", F.explode(F.slice("prefix", 1, FIRST)).alias("key")).select("id", F.min("id").over(of).alias("lo"), F.max("id").over(of).alias("hi")).where("lo != hi")
+    pairs = equal.union(ball_pairs).union(shared.select("lo", "id")).union(shared.select("id", "hi")).where("a != b")
     return pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
 
 
+def rest(nodes: DataFrame, links: DataFrame, similarity: float) -> DataFrame:
+    """Distinct pairs (a, b) of nodes that share a shingle of their prefixes, of sizes that allow the similarity, and that links don't connect.
+
+    A large group is cut into blocks of about `BLOCK`, and every two blocks meet in a group of their own.
+    """
+    roots = components(links).withColumnRenamed("node", "id")
+    rooted = nodes.select("id", "prefix").join(roots, "id", "left").select("id", F.coalesce("root", "id").alias("root"), F.explode("prefix").alias("key"))
+    of = Window.partitionBy("key")
+    several = rooted.select("*", F.min("root").over(of).alias("x"), F.max("root").over(of).alias("y"), F.count("*").over(of).alias("n")).where("x != y").select("key", "id", "root", "n")
+    cut = checkpointed(several).join(nodes.select("id", "size"), "id").withColumn("blocks", F.ceil(F.col("n") / BLOCK).cast("int")).withColumn("own", F.pmod(F.xxhash64("id"), F.col("blocks")).cast("int"))
+    every = cut.select("key", "id", "size", "root", "own", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("other"))
+    every = every.select("key", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "id", "size", "root", "own")
+    x, y = (every.select("key", "i", "j", *[F.col(c).alias(f"{c}_{side}") for c in ("id", "size", "root", "own")]) for side in "ab")
+    apart = (F.col("id_a") < F.col("id_b")) & (F.col("root_a") != F.col("root_b")) & ((F.col("own_a") != F.col("own_b")) | (F.col("i") == F.col("j")))
+    alike = F.least("size_a", "size_b") >= F.lit(float(similarity)) * F.greatest("size_a", "size_b")
+    return x.join(y, ["key", "i", "j"]).where(apart & alike).select(F.col("id_a").alias("a"), F.col("id_b").alias("b")).distinct()
+
+
 def verified(pairs: DataFrame, texts: DataFrame, n: int, similarity: float) -> DataFrame:
     """The pairs whose whole shingle sets have the similarity (Jaccard); sets without shingles are equal."""
 
@@ -172,8 +225,8 @@ def verified(pairs: DataFrame, texts: DataFrame, n: int, similarity: float) -> D
             keep.append(both >= similarity * (len(x) + len(y) - both))
         return {"a": batch.column("a"), "b": batch.column("b"), "keep": keep}
 
-    both = pairs.join(texts.select(F.col("node").alias("a"), F.col("text").alias("s")), "a").join(texts.select(F.col("node").alias("b"), F.col("text").alias("t")), "b")
-    return map_rows(both.select("a", "b", "s", "t"), work, "a binary, b binary, keep boolean").where("keep").select("a", "b")
+    both = pairs.join(texts.select(F.col("id").alias("a"), F.col("text").alias("s")), "a").join(texts.select(F.col("id").alias("b"), F.col("text").alias("t")), "b")
+    return map_rows(both.select("a", "b", "s", "t"), work, "a long, b long, keep boolean").where("keep").select("a", "b")
 
 
 #: Columns that name a row.
@@ -199,14 +252,23 @@ def near_duplicates(named: DataFrame, n: int = 5, radius: int = 2, similarity: f
 
     keep marks one row of each class: the least doc_id, then the first by row keys.
     """
+    if not 0 < similarity <= 1:
+        raise ValueError("a similarity above 0 and up to 1 is needed")
     keys = KEYS
-    rows = checkpointed(sketches(named, n, keys))
-    nodes = rows.select("node", "fp", "bands").dropDuplicates(["node"])
+    rows = checkpointed(sketches(named, n, keys, similarity))
+    one = rows.groupBy("node").agg(F.min(F.struct(*keys)).alias("at"), *[F.first(c).alias(c) for c in ("fp", "size", "prefix")])
+    nodes = checkpointed(one.withColumn("id", F.monotonically_increasing_id()))
+
+    def similar(pairs: DataFrame) -> DataFrame:
+        wanted = pairs.select(F.explode(F.array("a", "b")).alias("id")).distinct()
+        place = nodes.join(wanted, "id").select("id", *[F.col(f"at.{k}").alias(k) for k in keys])
+        return checkpointed(verified(pairs, named.select(*keys, "text").join(place, keys).select("id", "text"), n, similarity))
+
     pairs = checkpointed(candidates(nodes, radius))
-    wanted = pairs.select(F.explode(F.array("a", "b")).alias("node")).distinct()
-    place = rows.groupBy("node").agg(F.min(F.struct(*keys)).alias("at")).join(wanted, "node").select("node", *[F.col(f"at.{k}").alias(k) for k in keys])
-    texts = named.select(*keys, "text").join(place, keys).select("node", "text")
-    links = verified(pairs, texts, n, similarity)
+    likely = similar(pairs)
+    links = likely.union(similar(checkpointed(rest(nodes, likely, similarity).join(pairs, ["a", "b"], "left_anti"))))
+    of = nodes.select("id", "node")
+    links = links.join(of.select(F.col("id").alias("a"), F.col("node").alias("x")), "a").join(of.select(F.col("id").alias("b"), F.col("node").alias("y")), "b").select(F.col("x").alias("a"), F.col("y").alias("b"))
     named_classes = classes(rows.select("node", "doc_id"), links, "node")
     marked = rows.select(*keys, "doc_id", "node").join(named_classes, "node")
     # the class is named by its root, since doc_ids may repeat or be missing
