@@ -53,6 +53,20 @@ def test_restoring():
     assert restore("plain words stay, 4.0 too") == "plain words stay, 4.0 too"
 
 
+def test_long_spans_are_restored():
+    words = {"vequxyz": 5.0, "morblat": 5.0, "plain": 0.5}
+    log_p = toxicity.language_model(toxicity.trigrams("these are plain words of the corpus").astype(float), words)
+    for n in (60, 1000, 20_000):
+        assert toxicity.Restorer(log_p)(f"you morb{'l' * n}at") == "you morblat"
+    restore = toxicity.Restorer(log_p, words)
+    sentence = "these are the words of a vequxyz and a morblat in a long plain sentence"
+    for gap in (" ", ".", "-", "_"):
+        hidden = gap.join(sentence.replace(" ", ""))
+        assert len(hidden) > 64
+        assert {"vequxyz", "morblat"} <= set(toxicity.WORD.findall(restore(f"what {hidden} here"))), gap
+        assert toxicity.evidence(hidden, restore, words)[:2] == (5.0, 5.0)
+
+
 def test_evidence_uses_beginnings():
     weights = toxicity.strengths([("vequ-", 30, 0), ("veque", 12, 0), ("lose-", 20, 0), ("loser", 20, 0), ("the", 50, 50)], 50, 50)
     assert "vequ-" in weights and "lose-" not in weights and "the" not in weights

@@ -3,7 +3,7 @@
 A suspicious span (digits or symbols inside a word, single letters with separators between them,
 a letter three times in a row) is an observation of a hidden word. Its characters make a lattice:
 each may stand for itself, for the letters it is used for, or, as a separator or a repetition,
-for none. Viterbi decoding under a character trigram model picks the reading; the model counts
+for none. Spans have any length. Viterbi decoding under a character trigram model picks the reading; the model counts
 the characters of all documents, and of the words that labels show to matter.
 
 Restored words carry weights: smoothed log odds, learned from labelled documents, of the word
@@ -59,7 +59,8 @@ _SPLIT = rf"(?<![\w.@])(?:{_LETTER}{{1,3}}[.\-_~·]){{2,}}{_LETTER}{{1,4}}(?![\w
 SUSPECT = re.compile(f"{_SPACED}|{_LEET}|{_SPLIT}|{_REPEAT}")
 _QUICK = re.compile(rf"[{_SIGN}]|({_LETTER})\1\1|(?<!\w)\w[ .\-_*~·/]{{1,2}}\w[ .\-_*~·/]{{1,2}}\w(?!\w)|\w[.\-_~·]\w")
 WORD = re.compile(rf"{_LETTER}+")
-LONGEST = 64
+#: Characters of a span whose reading is remembered; longer ones are decoded each time.
+REMEMBERED = 64
 
 
 def folded(text: str) -> str:
@@ -146,33 +147,69 @@ def lattice(span: str) -> list[list[tuple[str, float]]]:
 
 
 def decode(span: str, log_p: np.ndarray) -> str:
-    """The most probable word behind a span: Viterbi over the lattice, with the last two letters as state."""
+    """The most probable words behind a span of any length: Viterbi over the lattice, with the last two letters as state."""
     number = lambda c: ord(c) - 97 if "a" <= c <= "z" else EDGE if c == " " else OTHER
-    states: dict[tuple[int, int], tuple[float, str]] = {(EDGE, EDGE): (0.0, "")}
+    states: dict[tuple[int, int], float] = {(EDGE, EDGE): 0.0}
+    steps: list[dict[tuple[int, int], tuple[tuple[int, int], str]]] = []  # where each state came from, and what it says
     for arcs in lattice(span):
-        after: dict[tuple[int, int], tuple[float, str]] = {}
-        for (a, b), (score, done) in states.items():
+        after: dict[tuple[int, int], float] = {}
+        back: dict[tuple[int, int], tuple[tuple[int, int], str]] = {}
+        for (a, b), score in states.items():
             for c, channel in arcs:
                 if c:
                     k = number(c)
-                    state, value, text = (b, k), score + channel + log_p[(a * SIZE + b) * SIZE + k], done + c
+                    state, value = (b, k), score + channel + log_p[(a * SIZE + b) * SIZE + k]
                 else:
-                    state, value, text = (a, b), score + channel, done
-                if state not in after or value > after[state][0]:
-                    after[state] = (value, text)
+                    state, value = (a, b), score + channel
+                if state not in after or value > after[state]:
+                    after[state], back[state] = value, ((a, b), c)
         states = after
-    return max((score + log_p[(a * SIZE + b) * SIZE + EDGE], text) for (a, b), (score, text) in states.items())[1]
+        steps.append(back)
+    state = max(states, key=lambda s: (states[s] + log_p[(s[0] * SIZE + s[1]) * SIZE + EDGE], s))
+    said = []
+    for back in reversed(steps):
+        state, c = back[state]
+        said.append(c)
+    return "".join(reversed(said))
+
+
+#: Strength from which a word is telling.
+STRONG = 3.0
+
+
+def parted(word: str, known: dict[str, float], lengths: list[int]) -> str:
+    """A reading without known borders, cut before and after the telling words in it; the longest at each place."""
+    out, at, start = [], 0, 0
+    while at < len(word):
+        n = next((n for n in lengths if len(word) >= at + n and known.get(word[at : at + n], 0.0) >= STRONG), 0)
+        if n:
+            out += [word[start:at], word[at : at + n]]
+            start = at + n
+        at += n or 1
+    return " ".join(x for x in (*out, word[start:]) if x)
 
 
 class Restorer:
-    """Restores texts under one model; readings of spans are remembered, up to a bound."""
+    """Restores texts under one model; readings of short spans are remembered, up to a bound.
+
+    Separators between all letters hide where words end, so such a reading is cut at `known` words.
+    """
+
+    def __init__(self, log_p: np.ndarray, known: dict[str, float] | None = None):
+        lengths = sorted({len(w) for w, x in (known or {}).items() if x >= STRONG and len(w) > 3 and w.isalpha()}, reverse=True)
+
+        def fresh(span: str) -> str:
+            said = decode(span, log_p)
+            if not known or all(c.isalpha() or c in LEET for c in span):
+                return said
+            return WORD.sub(lambda m: m[0] if m[0] in known else parted(m[0], known, lengths), said)
 
-    def __init__(self, log_p: np.ndarray):
-        self.read = lru_cache(maxsize=100_000)(lambda span: decode(span, log_p))
+        remembered = lru_cache(maxsize=100_000)(fresh)
+        self.read = lambda span: (remembered if len(span) <= REMEMBERED else fresh)(span)
 
     def __call__(self, text: str) -> str:
         text = folded(text)
-        return SUSPECT.sub(lambda m: self.read(m[0]) if len(m[0]) <= LONGEST and any(c.isalpha() for c in m[0]) else m[0], text) if _QUICK.search(text) else text
+        return SUSPECT.sub(lambda m: self.read(m[0]) if any(c.isalpha() for c in m[0]) else m[0], text) if _QUICK.search(text) else text
 
 
 # --- weights ----------------------------------------------------------------------------------------
@@ -218,7 +255,7 @@ def evidence(text: str | None, restore: Restorer, weights: dict[str, float]) ->
             if best > 0:
                 found.append(best)
     found.sort(reverse=True)
-    strong = sum(x >= 3 for x in found)
+    strong = sum(x >= STRONG for x in found)
     return found[0] if found else 0.0, found[1] if len(found) > 1 else 0.0, math.log1p(strong), min(5.0, 100 * strong / len(known)) if known else 0.0
 
 
@@ -258,9 +295,9 @@ def train(docs: DataFrame, labels: DataFrame, per_class: int = PER_CLASS) -> Mod
     log_p = language_model(counts, {w: x for w, x in weights.items() if not w.endswith("-")})
 
     def measure(batch: pa.RecordBatch) -> dict:
-        restore = Restorer(log_p)
+        restore = [Restorer(log_p, w) for w in other]
         # a half is measured with what the other one taught
-        e = np.array([evidence(t, restore, other[h]) for t, h in zip(batch.column("text").to_pylist(), batch.column("half").to_pylist(), strict=True)]).reshape(-1, 4)
+        e = np.array([evidence(t, restore[h], other[h]) for t, h in zip(batch.column("text").to_pylist(), batch.column("half").to_pylist(), strict=True)]).reshape(-1, 4)
         return {"y": batch.column("y")} | {f"x{k}": e[:, k] for k in range(4)}
 
     x = np.array(sorted(map(tuple, map_rows(rows, measure, "y int, x0 double, x1 double, x2 double, x3 double").collect()))).reshape(-1, 5)
@@ -270,7 +307,7 @@ def train(docs: DataFrame, labels: DataFrame, per_class: int = PER_CLASS) -> Mod
 
 
 def score(texts: list[str | None], model: Model, restore: Restorer | None = None) -> np.ndarray:
-    restore = restore or Restorer(model.log_p)
+    restore = restore or Restorer(model.log_p, model.weights)
     x = np.array([evidence(t, restore, model.weights) for t in texts]).reshape(-1, 4)
     return sigmoid(x @ np.array(model.calibration[:-1]) + model.calibration[-1])
 
@@ -280,7 +317,7 @@ def score_column(model: Model, text: str = "text") -> Column:
 
     @F.pandas_udf("double")
     def scores(parts: Iterator[pd.Series]) -> Iterator[pd.Series]:
-        restore = Restorer(model.log_p)
+        restore = Restorer(model.log_p, model.weights)
         for part in parts:
             yield pd.Series(np.concatenate([score(list(part.iloc[at : at + ROWS_AT_ONCE]), model, restore) for at in range(0, len(part), ROWS_AT_ONCE)] or [np.zeros(0)]))
 
