@@ -102,14 +102,19 @@ class Engine:
             return out, mode
         return distributed(self.store, bgp, self.options, traffic), mode
 
-    def run(self, query: str | Query | BGP, meter: bool = False, count: bool = False) -> DataFrame:
-        """The answer; the query is observed, and what got hot is redistributed after it."""
+    def run(self, query: str | Query | BGP, meter: bool = False, count: bool = False, sink: bool = False) -> DataFrame:
+        """The answer; the query is observed, and what got hot is redistributed after it.
+
+        With `sink`, all rows are made first, and thrown away.
+        """
         q = self._query(query)
         began = time.perf_counter()
         traffic = Traffic() if meter else None
         bindings, mode = self.answer(q.bgp, traffic)
         out = self.finish(q, bindings)
         rows = out.count() if count else None
+        if sink:
+            out.write.format("noop").mode("overwrite").save()
         run = Run(str(query), mode, time.perf_counter() - began, traffic.total if traffic else 0, rows=rows)
         if self.adaptive and not self.frozen:
             before = self.index.evicted
