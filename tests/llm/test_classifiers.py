@@ -80,6 +80,12 @@ def test_languages(spark):
     assert sum(r["lang_pred"] == r["lang"] for r in out) >= 0.97 * len(out)
 
 
+def test_too_many_languages_are_an_error(spark):
+    rows = [(k, f"words of language {k}", f"l{k}") for k in range(3 * langid.MOST_LANGUAGES)]
+    with pytest.raises(ValueError, match="languages"):
+        langid.train(spark.createDataFrame(rows, "doc_id long, text string, lang string"))
+
+
 def test_spans_and_scripts():
     texts = {"en": "the thing that they think with this other then there " * 30, "de": "der die das und nicht ein schön über weiß ist auch " * 30, "ru": "это не так что как она они было для весь " * 30}
     counts, written = {}, {}

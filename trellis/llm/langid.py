@@ -6,7 +6,7 @@ n-grams of one to four letters. Viterbi decoding over a document's words, with a
 each change of language, labels spans; the document takes the language with the most letters.
 
 Learns from documents with a language outside the held-out fold: a bounded sample (about
-`PER_LANGUAGE` documents of each, by a hash of the id). At most `MOST_LANGUAGES` are told apart.
+`PER_LANGUAGE` documents of each, by a hash of the id). More than `MOST_LANGUAGES` of them are an error.
 
 Nulls: null text, or text without a letter, is `und` with score 0. Without training rows
 everything is `und`.
@@ -191,7 +191,10 @@ class Labeller:
 
 def train(docs: DataFrame, per_language: int = PER_LANGUAGE) -> Model:
     usable = docs.where((fold("doc_id", 3) != 1) & F.col("lang").isNotNull() & F.col("text").isNotNull())
-    counts = {r["lang"]: r["n"] for r in usable.groupBy("lang").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "lang").limit(MOST_LANGUAGES).collect()}
+    counts = {r["lang"]: r["n"] for r in usable.groupBy("lang").agg(F.count("*").alias("n")).limit(MOST_LANGUAGES + 1).collect()}
+    if len(counts) > MOST_LANGUAGES:
+        raise ValueError(f"more than {MOST_LANGUAGES} languages: none is left out silently")
+    counts = dict(sorted(counts.items(), key=lambda x: (-x[1], x[0])))
     sample = usable.where(hash_share(per_language, counts, "lang", "doc_id")).select("lang", "text")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
