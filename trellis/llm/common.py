@@ -8,10 +8,12 @@ from __future__ import annotations
 
 import math
 import tempfile
+import uuid
 from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
+from pyspark.errors import AnalysisException
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -55,6 +57,31 @@ def checkpointed(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
+def written(df: DataFrame) -> DataFrame:
+    """The rows as a table in the shared folder: made once, compressed, and read by column."""
+    path = f"{shared_folder(df.sparkSession)}/table-{uuid.uuid4().hex}"
+    df.write.parquet(path)
+    return df.sparkSession.read.parquet(path)
+
+
+#: Columns that name a row.
+KEYS = ["__file", "__row"]
+
+
+def row_keys(docs: DataFrame) -> DataFrame:
+    """Docs with two columns that name a row in the same way each time it is read.
+
+    Rows of files are named by file and position, which don't depend on how a scan is split;
+    other tables are first cut into the shared folder.
+    """
+    try:
+        named = docs.withColumn("__file", F.xxhash64(F.col("_metadata.file_path"))).withColumn("__row", F.col("_metadata.row_index"))
+        named.schema  # noqa: B018  analysis fails here where there is no such metadata
+        return named
+    except AnalysisException:
+        return checkpointed(docs.withColumn("__file", F.lit(0).cast("long")).withColumn("__row", F.monotonically_increasing_id()))
+
+
 def row_batches(batches: Iterator[pa.RecordBatch], rows: int = ROWS_AT_ONCE) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         for at in range(0, batch.num_rows, rows):
@@ -104,15 +131,18 @@ def hash_share(per_class: int, counts: dict, by: str, *of: str) -> Column:
 
 
 def labelled_sample(docs: DataFrame, labels: DataFrame, label: str, usable: Column, per_class: int) -> tuple[DataFrame, dict[int, int]]:
-    """(doc_id, y, text), cut into the shared folder, and all labelled rows by class.
+    """(doc_id, y, text), cut into the shared folder, and all labelled ids by class.
 
-    At most about `per_class` labelled documents of each of the classes 0 and 1 are kept. The chosen ids are a bounded table (2 x per_class, 3 deviations of slack at most), so the
-    documents meet them in a broadcast join and their texts are never shuffled. Texts are whole.
+    At most about `per_class` labelled documents of each of the classes 0 and 1 are kept. The chosen
+    ids are a bounded table (2 x per_class, 3 deviations of slack at most), so the documents meet
+    them in a broadcast join and their texts are never shuffled. Texts are whole. An id whose labels
+    contradict each other teaches nothing; of several documents of one id the least text counts.
     """
-    known = labels.where(usable & F.col(label).isin(0, 1) & F.col("doc_id").isNotNull()).select("doc_id", F.col(label).cast("int").alias("y"))
+    given = labels.where(usable & F.col(label).isin(0, 1) & F.col("doc_id").isNotNull()).select("doc_id", F.col(label).cast("int").alias("y"))
+    known = given.groupBy("doc_id").agg(F.min("y").alias("y"), F.max("y").alias("other")).where("y = other").select("doc_id", "y")
     counts = {r["y"]: r["n"] for r in known.groupBy("y").agg(F.count("*").alias("n")).collect()}
-    chosen = known.where(hash_share(per_class, counts, "y", "doc_id")).dropDuplicates(["doc_id"]).limit(2 * per_class + 6 * math.isqrt(2 * per_class))
-    rows = docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id").select("doc_id", "y", F.coalesce("text", F.lit("")).alias("text"))
+    chosen = known.where(hash_share(per_class, counts, "y", "doc_id")).limit(2 * per_class + 6 * math.isqrt(2 * per_class))
+    rows = docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id").groupBy("doc_id", "y").agg(F.min(F.coalesce("text", F.lit(""))).alias("text"))
     return checkpointed(rows), counts
 
 
@@ -176,6 +206,25 @@ def components(edges: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
         before = tuple(now)
 
 
+#: A key is hot if it has more than one in so many of all rows; so there are fewer hot keys than that.
+HOT = 1024
+
+
+def spread_join(rows: DataFrame, one: DataFrame, key: str) -> DataFrame:
+    """Inner join with a table that has one row for each key, however many rows share a key.
+
+    Rows of hot keys stay where they are and meet the fewer than `HOT` rows of `one` for them, which
+    are broadcast; all others meet by the key's hash.
+    """
+    counts = rows.groupBy(key).agg(F.count("*").alias("__n"))
+    total = rows.count()
+    hot = counts.where(F.col("__n") > total / HOT).select(key)
+    hot = checkpointed(one.join(F.broadcast(hot), key))
+    few = hot.select(key)
+    cold = rows.join(F.broadcast(few), key, "left_anti").join(one, key)
+    return rows.join(F.broadcast(hot), key).unionByName(cold)
+
+
 def rank_in_key(rows: DataFrame, key: str, part: str, local: str, out: str) -> DataFrame:
     """Add `out`: a gapless rank (from 0) of each row within `key`, given (part, local) ranks.
 

@@ -7,13 +7,15 @@ their places, card numbers and IBANs keep valid check digits, hexadecimal secret
 addresses their domain's identity, and titled names gender and script.
 
 Digits are permuted by a keyed Feistel network, so distinct numbers of one format can't collide.
-The other kinds are hashed; a check over all distinct entities finds surrogates given twice, or
-equal to a real entity, and moves these to the function's next attempt until none is left. Only
+The other kinds are hashed; a check over all distinct entities, in every form a mention can take,
+finds surrogates given twice, or equal to a real entity, and moves these to the function's next
+attempt until none is left. Only
 entities are shuffled for this, pre-aggregated; texts stay where they are unless one of theirs
 had to be moved.
 
 Nulls: a null text stays null and has no entities. Empty tables stay empty; repeated rows are
-treated alike. All other columns are passed on by `surrogates`.
+treated alike; texts have any length. Of entities with one surrogate (a tie) the least keeps it.
+All other columns are passed on by `surrogates`.
 """
 
 from __future__ import annotations
@@ -23,7 +25,7 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import checkpointed
+from .common import checkpointed, spread_join, written
 
 #: Key of the registered query; real uses pass a secret of their own.
 DEMO_KEY = "replace-this-key"
@@ -58,7 +60,8 @@ SURNAME_END = {"latin": "n", "cyrillic": "ко", "greek": "κης"}
 OCTET = "(?:25[0-5]|2[0-4][0-9]|1[0-9][0-9]|[1-9]?[0-9])"
 WORDS = r"\p{Lu}[\p{L}'’\-]*+(?: \p{Lu}[\p{L}'’\-]*+){0,2}"
 PATTERNS = {
-    "email": r"(?<![A-Za-z0-9._%+\-])[A-Za-z0-9._%+\-]++@[A-Za-z0-9\-]+(?:\.[A-Za-z0-9\-]+)*\.[A-Za-z]{2,}",
+    # a name of 253 characters has 127 labels at most: the bound keeps the engine's stack small on any text
+    "email": r"(?<![A-Za-z0-9._%+\-])[A-Za-z0-9._%+\-]++@[A-Za-z0-9\-]++(?:\.[A-Za-z0-9\-]++){0,126}\.[A-Za-z]{2,}",
     "access_key": r"(?<![A-Za-z0-9])(?:AKIA|ASIA)[A-Z0-9]{16}(?![A-Za-z0-9])",
     "secret": r"(?<![A-Za-z])(?i:password|passwd|pwd|secret|token|api[_\-]?key)\s{0,3}[=:]\s{0,3}[\"']?[A-Za-z0-9+/_\-]{8,}+",
     "ip": rf"(?<![0-9.])(?:{OCTET}\.){{3}}{OCTET}(?![0-9]|\.[0-9])",
@@ -68,8 +71,8 @@ PATTERNS = {
     "card": r"(?<![0-9.\-])[0-9](?:[ \-]?[0-9]){12,18}(?![0-9])",
     "name": rf"(?<!\p{{L}})(?:{'|'.join(t for g in TITLES.values() for t in sorted(g, key=len, reverse=True))})\.? {WORDS}",
 }
-#: One expression for all kinds; earlier kinds win where several begin at one place.
-ANY = "|".join(f"(?:{p})" for p in PATTERNS.values())
+#: One expression for all kinds; earlier kinds win where several begin at one place. None begins between two letters of a word.
+ANY = f"(?<!(?=[A-Za-z]{{2}})[A-Za-z])(?:{'|'.join(f'(?:{p})' for p in PATTERNS.values())})"
 
 
 def let(value: Column, use: Callable[[Column], Column]) -> Column:
@@ -188,11 +191,16 @@ def _choice(options: tuple[str, ...], n: Column) -> Column:
 
 
 def person(m: Column, key: str, attempt: Column) -> Column:
-    """Title kept; each given name by gender and script, the last word (the surname) by script."""
+    """Title kept; each given name by gender and script, the last word (the surname) by script.
+
+    The place in the list of given names doesn't depend on the gender, so that names which are
+    distinct under one title are distinct under every other.
+    """
     title = F.regexp_extract(m, r"\A(\S+) ", 1)
     gender = F.when(F.regexp_replace(title, r"\.\z", "").isin(*TITLES["f"]), "f").otherwise("m")
-    script = script_of(m)
-    words = F.split(F.regexp_replace(m, r"\A\S+ ", ""), " ")
+    bare = entity_of(m, F.lit("name"))
+    script = script_of(bare)
+    words = F.split(bare, " ")
 
     def word(w: Column, i: Column) -> Column:
         def surname(h: Column) -> Column:
@@ -212,7 +220,7 @@ def person(m: Column, key: str, attempt: Column) -> Column:
             return out
 
         last = i == F.size(words) - 1
-        return let(keyed(key, F.when(last, "surname").otherwise("given"), F.when(last, F.lit("")).otherwise(gender), attempt, F.lower(w)), lambda h: F.when(last, surname(h)).otherwise(given(h)))
+        return let(keyed(key, F.when(last, "surname").otherwise("given"), attempt, F.lower(w)), lambda h: F.when(last, surname(h)).otherwise(given(h)))
 
     return F.concat_ws(" ", title, F.array_join(F.transform(words, word), " "))
 
@@ -266,41 +274,60 @@ def matched(docs: DataFrame, text: str = "text") -> DataFrame:
     return docs.withColumn("__found", found)
 
 
+def forms(m: Column, kind: Column, entity: Column, key: str, attempt: Column, local: int) -> Column:
+    """Normal forms of all surrogates that an entity may get: a name's depends on its title's gender."""
+    titled = [entity_of(person(F.concat(F.lit(f"{t[0]} "), entity), key, attempt), F.lit("name")) for t in TITLES.values()]
+    return F.when(kind == "name", F.array(*titled)).otherwise(F.array(entity_of(surrogate(m, kind, key, attempt, local), kind)))
+
+
 def moved(found: DataFrame, key: str, local: int = LOCAL) -> DataFrame | None:
     """(kind, entity, attempt) of the entities that must leave their first surrogate; None if there are none.
 
-    Every distinct entity is checked against all others: of those with one surrogate the least
-    stays, and no surrogate may be a real entity of its kind.
+    Every distinct entity is checked against all others, in all forms its surrogate can take: of
+    those with one surrogate the least stays, and no surrogate may be a real entity of its kind.
     """
     every = found.select(F.explode("__found").alias("x")).where("x.kind is not null").groupBy("x.kind", "x.entity").agg(F.min("x.m").alias("m"))
     now = checkpointed(every.withColumn("attempt", F.lit(0)))
+    made = F.explode(F.array_distinct(forms(F.col("m"), F.col("kind"), F.col("entity"), key, F.col("attempt"), local)))
     for k in range(MOST_ATTEMPTS):
-        given = now.withColumn("made", entity_of(surrogate(F.col("m"), F.col("kind"), key, F.col("attempt"), local), F.col("kind")))
-        turn = F.row_number().over(Window.partitionBy("kind", "made").orderBy("attempt", "entity"))
+        given = checkpointed(now.select("*", made.alias("made")))  # a long expression, analysed once a round
+        turn = F.dense_rank().over(Window.partitionBy("kind", "made").orderBy("attempt", "entity"))
         real = now.select("kind", F.col("entity").alias("made"), F.lit(True).alias("real"))
-        judged = checkpointed(given.withColumn("turn", turn).join(real, ["kind", "made"], "left").select("kind", "entity", "m", "attempt", ((F.col("turn") > 1) | F.col("real").isNotNull()).alias("again")))
+        judged = given.withColumn("turn", turn).join(real, ["kind", "made"], "left").withColumn("again", (F.col("turn") > 1) | F.col("real").isNotNull())
+        judged = checkpointed(judged.groupBy("kind", "entity", "m", "attempt").agg(F.max("again").alias("again")))
         if judged.where("again").isEmpty():
             return now.where("attempt > 0").select("kind", "entity", "attempt") if k else None
         now = checkpointed(judged.select("kind", "entity", "m", (F.col("attempt") + F.col("again").cast("int")).alias("attempt")))
     raise ValueError("surrogates still collide: widen their format")
 
 
+#: Parts into which rows of one text are dealt when they meet its moved entities.
+SALTS = 32
+
+
 def surrogates(docs: DataFrame, key: str = DEMO_KEY, text: str = "text", local: int = LOCAL) -> DataFrame:
-    """Docs with the text's entities replaced, and `__kinds`: the kinds of what was replaced, in order."""
-    found = matched(docs, text)
+    """Docs with the text's entities replaced, and `__kinds`: the kinds of what was replaced, in order.
+
+    Texts are searched once: docs and what is found go to a table in the shared folder.
+    """
+    found = written(matched(docs, text))
     exceptions = moved(found, key, local)
     at: Callable[[Column], Column] = lambda x: F.lit(0)
     if exceptions is not None:  # texts that hold a moved entity get their attempts by a join on the text's digest
         found = found.withColumn("__digest", F.sha2(text, 256))
-        held = found.select("__digest", F.explode("__found").alias("x")).select("__digest", "x.kind", "x.entity").distinct().join(exceptions, ["kind", "entity"])
-        by = held.groupBy("__digest").agg(F.map_from_entries(F.collect_list(F.struct(F.concat_ws("|", "kind", "entity"), "attempt"))).alias("__moved"))
-        found = found.join(by, "__digest", "left")
+        held = found.select("__digest", F.explode("__found").alias("x")).select("__digest", F.struct("x.kind", "x.entity").alias("__e")).distinct()
+        held = spread_join(held, exceptions.select(F.struct("kind", "entity").alias("__e"), "attempt"), "__e")
+        by = held.groupBy("__digest").agg(F.map_from_entries(F.collect_list(F.struct(F.concat_ws("|", "__e.kind", "__e.entity"), "attempt"))).alias("__moved"))
+        # copies of a text differ in other columns, by which they are dealt out
+        by = by.withColumn("__salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+        salt = F.pmod(F.xxhash64(F.lit("salt"), *[F.col(f"`{c}`") for c in docs.columns if c != text]), F.lit(SALTS)).cast("int")
+        found = found.withColumn("__salt", salt).join(by, ["__digest", "__salt"], "left")
         at = lambda x: F.coalesce(F.col("__moved")[F.concat_ws("|", x["kind"], x["entity"])], F.lit(0))
     new = F.transform("__found", lambda x: F.coalesce(surrogate(x["m"], x["kind"], key, at(x), local), x["m"]))
     pieces = F.zip_with(F.split(F.col(text), ANY, -1), new, lambda gap, s: F.concat(gap, F.coalesce(s, F.lit(""))))
     out = found.withColumn("__kinds", F.filter(F.transform("__found", lambda x: x["kind"]), lambda k: k.isNotNull()))
     out = out.withColumn(text, F.when(F.size("__kinds") > 0, F.array_join(pieces, "")).otherwise(F.col(text)))
-    return out.drop("__found", "__digest", "__moved")
+    return out.select(*[F.col(f"`{c}`") for c in docs.columns], "__kinds")
 
 
 def surrogate_documents(docs: DataFrame, key: str = DEMO_KEY) -> DataFrame:
