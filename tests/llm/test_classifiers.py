@@ -67,6 +67,39 @@ def test_long_spans_are_restored():
         assert toxicity.evidence(hidden, restore, words)[:2] == (5.0, 5.0)
 
 
+def test_long_words_take_time_in_proportion():
+    import time
+
+    restore = toxicity.Restorer(toxicity.language_model(toxicity.trigrams("these are plain words").astype(float), {}))
+    rng = np.random.default_rng(0)
+    letters = "".join(rng.choice(list("abcdefgh"), 1_000_000))
+    plain = re.sub(r"(.)\1\1+", r"\1", letters)
+    began = time.perf_counter()
+    assert restore(f"a {plain} b") == f"a {plain} b"
+    restore("a" + "1" * 30_000 + "%")
+    assert restore("1" * 300_000 + " x") == "1" * 300_000 + " x"
+    said = restore("mo" + "r" * 300_000 + "on")
+    assert said == "moron" or said == "morron"
+    assert time.perf_counter() - began < 60
+    # what is written down on the way is what the whole lattice says
+    spans = ["".join(rng.choice(list("ab1!0c-"), 500)) for _ in range(5)]
+    whole = [toxicity.decode(s, restore.log_p) for s in spans]
+    before, toxicity.SETTLE = toxicity.SETTLE, 16
+    try:
+        assert [toxicity.decode(s, restore.log_p) for s in spans] == whole
+    finally:
+        toxicity.SETTLE = before
+
+
+def test_labels_that_contradict_each_other(spark):
+    from trellis.llm.common import labelled_sample
+
+    docs = spark.createDataFrame([(k, f"text {k}") for k in range(10)] + [(3, "a text of the same id")], "doc_id long, text string")
+    given = spark.createDataFrame([(1, 0), (1, 1), (2, 1), (2, 1), (3, 0), (4, None)], "doc_id long, toxic int")
+    rows, counts = labelled_sample(docs, given, "toxic", F.lit(True), 100)
+    assert sorted(map(tuple, rows.collect())) == [(2, 1, "text 2"), (3, 0, "a text of the same id")] and counts == {0: 1, 1: 1}
+
+
 def test_evidence_uses_beginnings():
     weights = toxicity.strengths([("vequ-", 30, 0), ("veque", 12, 0), ("lose-", 20, 0), ("loser", 20, 0), ("the", 50, 50)], 50, 50)
     assert "vequ-" in weights and "lose-" not in weights and "the" not in weights

@@ -9,7 +9,8 @@ Learns from documents with a language outside the held-out fold: a bounded sampl
 `PER_LANGUAGE` documents of each, by a hash of the id). More than `MOST_LANGUAGES` of them are an error.
 
 Nulls: null text, or text without a letter, is `und` with score 0. Without training rows
-everything is `und`.
+everything is `und`. Repeated rows get equal results; of languages with equally many letters, or
+equal scores, the first by name counts. Texts of any length are read whole.
 """
 
 from __future__ import annotations

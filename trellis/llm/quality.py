@@ -10,7 +10,9 @@ Labels come from a bounded sample (`PER_CLASS` documents of each class, chosen b
 id): half of it fills the dictionaries, half calibrates. Scoring reads whole texts.
 
 Nulls: a null text is an empty one and gets the score that calibration gives zero bytes. With
-labels of one class only, or none, every score is the smoothed share of label 1.
+labels of one class only, or none, every score is the smoothed share of label 1. Repeated rows
+get equal scores; a score at the threshold counts as good. Texts of any length are read whole,
+block by block.
 """
 
 from __future__ import annotations

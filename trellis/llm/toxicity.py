@@ -14,7 +14,9 @@ Labels come from a bounded sample (`PER_CLASS` documents of each class by a hash
 Character counts cover the whole corpus: they are summed in each task and again by trigram.
 
 Nulls: a null text is an empty one. With labels of one class, or none, every score is the
-smoothed share of label 1.
+smoothed share of label 1. Repeated rows get equal scores. Of two readings of equal probability
+the one found first counts, of two features of equal weight either. Texts, words and spans have
+any length: each is read in time in proportion to it.
 """
 
 from __future__ import annotations
@@ -36,8 +38,6 @@ from .common import ROWS_AT_ONCE, fold, labelled_sample, logistic, map_rows, pri
 
 #: Labelled documents taken of each class.
 PER_CLASS = 3000
-#: Features that are kept, by their strength.
-MOST_FEATURES = 50_000
 #: Standard deviations that a feature's count in toxic documents must be above its expectation.
 LEAST_Z = 4.0
 #: Toxic documents that a feature must be seen in.
@@ -53,8 +53,9 @@ _SIGN = "0-9@$!|+€£*#"
 _LETTER = r"[^\W\d_]"
 _HIDDEN = re.compile("[­​-‏⁠﻿]")
 _SPACED = rf"(?<!\S)(?:{_LETTER}|[{_SIGN}])(?P<gap>[ .\-_*~·/]{{1,2}})(?:{_LETTER}|[{_SIGN}])(?:(?P=gap)(?:{_LETTER}|[{_SIGN}])){{2,}}(?![^\s.,;:?!])"
-_LEET = rf"(?<![^\s(\"'])(?:{_LETTER}+[{_SIGN}]+|[{_SIGN}]{{1,3}}{_LETTER})(?:{_LETTER}|[{_SIGN}])*(?![^\s.,;:?)\"'])"
-_REPEAT = rf"{_LETTER}*?(?P<x>{_LETTER})(?P=x)(?P=x){_LETTER}*"
+# possessive, and begun at the start of a word only: each takes time in proportion to the word
+_LEET = rf"(?<![^\s(\"'])(?:{_LETTER}++[{_SIGN}]++|[{_SIGN}]{{1,3}}{_LETTER})(?:{_LETTER}|[{_SIGN}])*+(?![^\s.,;:?)\"'])"
+_REPEAT = rf"(?<!{_LETTER}){_LETTER}*?(?P<x>{_LETTER})(?P=x)(?P=x){_LETTER}*+"
 _SPLIT = rf"(?<![\w.@])(?:{_LETTER}{{1,3}}[.\-_~·]){{2,}}{_LETTER}{{1,4}}(?![\w@])"
 SUSPECT = re.compile(f"{_SPACED}|{_LEET}|{_SPLIT}|{_REPEAT}")
 _QUICK = re.compile(rf"[{_SIGN}]|({_LETTER})\1\1|(?<!\w)\w[ .\-_*~·/]{{1,2}}\w[ .\-_*~·/]{{1,2}}\w(?!\w)|\w[.\-_~·]\w")
@@ -129,9 +130,9 @@ def language_model(counts: np.ndarray, known: dict[str, float]) -> np.ndarray:
 DROP, REPEATED, STAND_IN, KEPT, PARTED = -4.0, -2.5, -0.3, -0.05, -5.0
 
 
-def lattice(span: str) -> list[list[tuple[str, float]]]:
+def lattice(span: str) -> Iterator[list[tuple[str, float]]]:
     """For each observed character, what it may stand for ('' for nothing) and the channel's log probability."""
-    out, before, earlier = [], "", ""
+    before, earlier = "", ""
     for c in span:
         if c.isalpha():
             arcs = [(c, KEPT)]
@@ -141,16 +142,35 @@ def lattice(span: str) -> list[list[tuple[str, float]]]:
             arcs = [(x, STAND_IN - math.log(len(LEET[c]))) for x in LEET[c]] + [("", DROP)]
         else:
             arcs = [("", KEPT), (" ", PARTED)]
-        out.append(arcs)
+        yield arcs
         before, earlier = c, before
-    return out
+
+
+#: Observed characters after which what all readings agree on is written down.
+SETTLE = 2048
+
+
+def traced(steps: list[dict], state: tuple[int, int]) -> tuple[list[str], list[tuple[int, int]]]:
+    """What a state's best way says at each step, last first, and the states before each."""
+    said, through = [], []
+    for back in reversed(steps):
+        state, c = back[state]
+        said.append(c)
+        through.append(state)
+    return said, through
 
 
 def decode(span: str, log_p: np.ndarray) -> str:
-    """The most probable words behind a span of any length: Viterbi over the lattice, with the last two letters as state."""
+    """The most probable words behind a span of any length: Viterbi over the lattice, with the last two letters as state.
+
+    Ways that survive soon have one past in common; it is written down and forgotten, so memory
+    doesn't grow with the span.
+    """
     number = lambda c: ord(c) - 97 if "a" <= c <= "z" else EDGE if c == " " else OTHER
     states: dict[tuple[int, int], float] = {(EDGE, EDGE): 0.0}
     steps: list[dict[tuple[int, int], tuple[tuple[int, int], str]]] = []  # where each state came from, and what it says
+    settled: list[str] = []
+    due = SETTLE
     for arcs in lattice(span):
         after: dict[tuple[int, int], float] = {}
         back: dict[tuple[int, int], tuple[tuple[int, int], str]] = {}
@@ -165,12 +185,16 @@ def decode(span: str, log_p: np.ndarray) -> str:
                     after[state], back[state] = value, ((a, b), c)
         states = after
         steps.append(back)
+        if len(steps) >= due:
+            pasts = [traced(steps, s)[1] for s in states]
+            same = next((k for k, at in enumerate(zip(*pasts, strict=True)) if len(set(at)) == 1), None)
+            if same is not None:  # all ways lead through one state, `same` + 1 steps back
+                cut = len(steps) - same - 1
+                settled += reversed(traced(steps[:cut], pasts[0][same])[0])
+                steps = steps[cut:]
+            due = 2 * max(SETTLE, len(steps))
     state = max(states, key=lambda s: (states[s] + log_p[(s[0] * SIZE + s[1]) * SIZE + EDGE], s))
-    said = []
-    for back in reversed(steps):
-        state, c = back[state]
-        said.append(c)
-    return "".join(reversed(said))
+    return "".join((*settled, *reversed(traced(steps, state)[0])))
 
 
 #: Strength from which a word is telling.
@@ -204,6 +228,7 @@ class Restorer:
                 return said
             return WORD.sub(lambda m: m[0] if m[0] in known else parted(m[0], known, lengths), said)
 
+        self.log_p = log_p
         remembered = lru_cache(maxsize=100_000)(fresh)
         self.read = lambda span: (remembered if len(span) <= REMEMBERED else fresh)(span)
 
@@ -237,7 +262,7 @@ def strengths(rows: list[tuple[str, int, int]], n1: int, n0: int) -> dict[str, f
         expected = (a + b) * n1 / max(1, n1 + n0)
         if a >= LEAST_SEEN and (a - expected) / math.sqrt(max(expected * n0 / max(1, n1 + n0), 1e-9)) >= LEAST_Z:
             out[name] = math.log((a + 0.5) / (n1 + 1)) - math.log((b + 0.5) / (n0 + 1))
-    return dict(sorted(out.items(), key=lambda x: (-x[1], x[0]))[:MOST_FEATURES])
+    return dict(sorted(out.items(), key=lambda x: (-x[1], x[0])))
 
 
 def evidence(text: str | None, restore: Restorer, weights: dict[str, float]) -> tuple[float, float, float, float]:
@@ -280,9 +305,9 @@ def train(docs: DataFrame, labels: DataFrame, per_class: int = PER_CLASS) -> Mod
         yield pa.RecordBatch.from_arrays([pa.array(list(seen)), *(pa.array([v[k] for v in seen.values()], pa.int64()) for k in range(4))], names=["f", "b0", "a0", "b1", "a1"])
 
     summed = rows.mapInArrow(features, "f string, b0 long, a0 long, b1 long, a1 long").groupBy("f").agg(*(F.sum(c).alias(c) for c in ("b0", "a0", "b1", "a1")))
-    # words of a bounded sample, and of these only what leans to toxic documents
+    # words that several documents of a bounded sample hold, and of these only what leans to toxic ones
     lean = min(known[1], per_class) / min(known[0], per_class)
-    found = summed.where(f"f = '' or (a0 + a1 >= {LEAST_SEEN} and a0 + a1 > 2 * {lean} * (b0 + b1))").orderBy(F.desc(F.col("f") == ""), F.desc(F.col("a0") + F.col("a1")), "f").limit(MOST_FEATURES).collect()
+    found = summed.where(f"f = '' or (a0 + a1 >= {LEAST_SEEN} and a0 + a1 > 2 * {lean} * (b0 + b1))").orderBy("f").collect()
     total = next((r for r in found if r["f"] == ""), None)
     if total is None:  # labels, but none of a document that is here
         return flat
