@@ -13,14 +13,16 @@ finds its sequence from its rank among the pieces of its length, which is summed
 task, so a length that a third of all rows have is never gathered in one task.
 
 Nulls: a null text is an empty document (the end token alone). Repeated rows are packed each on
-their own. An empty table gives no pieces.
+their own. Pieces of equal length (ties) are told apart by the order of their tasks alone, so
+sequence numbers may differ between runs, but not how many there are. Texts have any length; an
+empty table gives no pieces.
 """
 
 from __future__ import annotations
 
 import base64
 import zlib
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass, field
 from functools import lru_cache
 
@@ -35,14 +37,22 @@ from .common import checkpointed, rank_in_key, row_batches
 END = 2
 
 
+#: Added tokens of a vocabulary: (their text, their id).
+Added = tuple[tuple[str, int], ...]
+
+
 @lru_cache(maxsize=2)
-def encoder(ranks_path: str, pattern: str):
-    """The byte-level BPE as ranks; same ids as its JSON form, several times faster (tested)."""
+def encoder(ranks_path: str, pattern: str, added: Added = ()) -> Callable[[str], list[int]]:
+    """Text to ids by the byte-level BPE as ranks; same ids as its JSON form, several times faster (tested).
+
+    `added` are the JSON form's own tokens, whose text gives their id wherever it stands.
+    """
     import tiktoken
 
     with open(ranks_path, "rb") as lines:
         ranks = {base64.b64decode(a): int(b) for a, b in map(bytes.split, lines)}
-    return tiktoken.Encoding("bpe", pat_str=pattern, mergeable_ranks=ranks, special_tokens={})
+    code, names = tiktoken.Encoding("bpe", pat_str=pattern, mergeable_ranks=ranks, special_tokens=dict(added)), [a for a, _ in added]
+    return lambda text: code.encode(text, allowed_special=set(names), disallowed_special=()) if any(a in text for a in names) else code.encode_ordinary(text)
 
 
 def cut(n: int, size: int) -> list[tuple[int, int]]:
@@ -159,17 +169,17 @@ def places(templates: list[Template]) -> dict[int, list[tuple[int, int, int, int
 PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long, __part int, __local long"
 
 
-def pieces(docs: DataFrame, ranks_path: str, pattern: str, size: int = 1024) -> DataFrame:
+def pieces(docs: DataFrame, ranks_path: str, pattern: str, added: Added = (), size: int = 1024) -> DataFrame:
     """A row for each piece, with its rank among its task's pieces of its length."""
     types = pa.schema([("doc_id", pa.int64()), ("piece", pa.int32()), ("start", pa.int64()), ("length", pa.int64()), ("ids_crc32", pa.int64()), ("__part", pa.int32()), ("__local", pa.int64())])
 
     def run(batches):
         seen, part = np.zeros(size + 1, np.int64), TaskContext.get().partitionId()
-        code = encoder(ranks_path, pattern)
+        code = encoder(ranks_path, pattern, added)
         for batch in row_batches(batches):
             rows = []
             for key, text in zip(batch.column("doc_id").to_pylist(), batch.column("text").to_pylist(), strict=True):
-                ids = np.array([*code.encode_ordinary(text or ""), END], "<u4")
+                ids = np.array([*code(text or ""), END], "<u4")
                 for k, (at, n) in enumerate(cut(len(ids), size)):
                     rows.append((key, k, at, n, zlib.crc32(ids[at : at + n].tobytes()), part, int(seen[n])))
                     seen[n] += 1
@@ -178,9 +188,9 @@ def pieces(docs: DataFrame, ranks_path: str, pattern: str, size: int = 1024) ->
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, PIECES)
 
 
-def pack(spark: SparkSession, docs: DataFrame, ranks_path: str, pattern: str, size: int = 1024) -> DataFrame:
+def pack(spark: SparkSession, docs: DataFrame, ranks_path: str, pattern: str, added: Added = (), size: int = 1024) -> DataFrame:
     """doc_id, piece, start, length, ids_crc32, sequence_id, offset of every piece."""
-    rows = checkpointed(pieces(docs, ranks_path, pattern, size))
+    rows = checkpointed(pieces(docs, ranks_path, pattern, added, size))
     counts = {r["length"]: r["n"] for r in rows.groupBy("length").agg(F.count("*").alias("n")).collect()}  # at most `size` rows
     lookup = spark.createDataFrame(list(places(plan(counts, size)).items()), "length long, __slots array<struct<lo: bigint, hi: bigint, base: bigint, offset: bigint>>")
     ranked = rank_in_key(rows, "length", "__part", "__local", "__rank").join(F.broadcast(lookup), "length")

@@ -2,17 +2,21 @@
 
 from __future__ import annotations
 
+import json
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
 from .common import table
 
-#: Place of the tokenizer's ranks and its pre-tokenisation pattern: from the installed package.
-def tokenizer() -> tuple[str, str]:
+
+def tokenizer() -> tuple[str, str, tuple[tuple[str, int], ...]]:
+    """Place of the tokenizer's ranks, its pre-tokenisation pattern and its added tokens: from the installed package."""
     import public_tokenizers
 
-    return public_tokenizers.path("byte_bpe_50k.tiktoken"), public_tokenizers.PATTERN
+    with open(public_tokenizers.path("byte_bpe_50k.json"), encoding="utf-8") as file:
+        added = tuple((x["content"], x["id"]) for x in json.load(file)["added_tokens"])
+    return public_tokenizers.path("byte_bpe_50k.tiktoken"), public_tokenizers.PATTERN, added
 
 
 def op1_compression_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
