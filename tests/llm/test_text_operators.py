@@ -49,8 +49,9 @@ def test_packing_against_the_json_tokenizer(spark, odd, none):
     from tokenizers import Tokenizer
 
     tok = Tokenizer.from_file(public_tokenizers.path("byte_bpe_50k.json"))
-    tok.encode_special_tokens = True
-    docs = odd.select("doc_id", "text").union(table(spark, SMALL, "documents").select("doc_id", "text"))
+    more = [(8_000_000, "one<|endoftext|>two <|endoftext|> <|endoftext|"), (8_000_001, "<|endoftext|>"), (8_000_002, "x" * 300_000)]
+    docs = odd.select("doc_id", "text").union(table(spark, SMALL, "documents").select("doc_id", "text")).union(spark.createDataFrame(more, "doc_id long, text string"))
+    assert packing.encoder(*tokenizer())("a<|endoftext|>") == [64, 50256]
     rows = packing.pack(spark, docs, *tokenizer()).collect()
     want = Counter()
     for r in docs.collect():
@@ -120,6 +121,23 @@ def test_distinct_entities_stay_distinct(spark):
     assert bits.distinct().count() == 1000
 
 
+def test_surrogates_stay_distinct_under_every_title(spark):
+    """A name met under two titles has two forms; both must be told apart from all other names'."""
+    names = [f"{a}{b} {c}{d}" for a in ("An", "Be", "Cu", "Do", "Ed", "Fa", "Go", "Hu", "Ix", "Jo") for b in "abcdefgh" for c in ("Pa", "Qu", "Ro", "Si", "Tu") for d in ("dex", "fin", "gar")]
+    docs = spark.createDataFrame([(k, f"{t} {n}") for t in ("Herr", "Mrs") for k, n in enumerate(names)], "doc_id long, text string")
+    out = [r["text"] for r in pii.surrogates(docs).collect()]
+    for title in ("Herr", "Mrs"):
+        assert len({x for x in out if x.startswith(title)}) == len(names)
+    mixed = {r["text"].split(" ", 1)[0]: r["text"].split(" ", 1)[1] for r in pii.surrogates(spark.createDataFrame([("Mr John Smith",), ("господин John Smith",)], "text string")).collect()}
+    assert len(mixed) == 2 and len(set(mixed.values())) == 1 and re.fullmatch(r"[A-Z][a-z]+ [A-Z][a-z]+", mixed["Mr"])
+
+
+def test_long_runs_do_not_break_the_search(spark):
+    texts = ["x@" + "b." * 50_000 + "com", "1" * 200_000, "Mr " + "A" * 200_000, "a1" * 100_000, "a@" + "c" * 100_000 + ".example.com.", "1 2 " * 50_000, "mail me@site.example.org."]
+    out = [r["text"] for r in pii.surrogates(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).orderBy("doc_id").collect()]
+    assert out[0] == texts[0] and out[1] == texts[1] and "me@site" not in out[6] and out[6].endswith(".org.") and "a@cc" not in out[4]
+
+
 def test_odd_texts(odd, none):
     out = pii.surrogates(odd)
     assert out.drop("__kinds").columns == odd.columns and out.count() == odd.count()
@@ -334,6 +352,23 @@ def test_decontamination(spark, odd, none):
     assert decontam.contamination(odd, bench.limit(0)).where("contaminated").count() == 0
     kept = decontam.without_contaminated(odd, bench)
     assert kept.columns == odd.columns and kept.count() == odd.count()
+    # cut into parts of few bytes and automata of few states, the benchmark says the same
+    few = decontam.contamination(docs, bench, most_bytes=1 << 16, most_states=1 << 13)
+    assert Counter(tuple(r)[:6] for r in few.collect()) == want
+    text = lambda df: sorted(map(repr, df.select("doc_id", "n_hit", "spans").collect()))
+    assert text(few) == text(got)
+    kept = decontam.without_contaminated(odd, bench.limit(4), most_bytes=64)
+    assert kept.columns == odd.columns and kept.count() == odd.count()
+
+
+def test_automata_are_cut_by_their_size():
+    items = [(str(k), " ".join(f"w{(k * 37 + j * j) % 997}" for j in range(300))) for k in range(30)]
+    whole = list(decontam.automata(items))
+    parts = list(decontam.automata(items, most=20_000))
+    assert len(whole) == 1 and len(parts) > 10 and sum(map(len, parts)) >= len(whole[0])
+    texts = [" ".join(w for _, t in items[k : k + 2] for w in t.split()[5:40]) for k in range(20)] + ["", None]
+    said = [[(n, sorted({(a, b, k) for a, b, ks in found for k in ks})) for n, found in decontam.Scanner(tuple(items), most=most)(texts)] for most in (decontam.MOST_STATES, 20_000)]
+    assert said[0] == said[1] and any(x for _, x in said[0])
 
 
 # --- sharding
