@@ -6,12 +6,15 @@ exactly the number of rows (the first n mod m shards take one row more), so coun
 one apart: the law is `rows`. Movement stays limited because every key below its shard's
 capacity keeps its ring owner.
 
-What overflows depends on the counts by arc alone. These are at most shards x points numbers,
-which the driver plays through once; rows then find their shard from their rank in their arc.
-No shard's, arc's or key's rows are ever gathered in one task.
+How much overflows depends on the counts by arc alone. These are at most shards x points numbers,
+which the driver plays through once; rows then find their shard from their rank in their arc. A
+row's rank follows from a hash of the row itself, so where it goes doesn't depend on how the table
+is split into files or tasks. No shard's, arc's or key's rows are ever gathered in one task:
+ranks are summed from counts by arc, by a part of the hashes, and by hash and task.
 
 Nulls: a null key has an arc of its own hash, a null text has no bytes (size 8). Repeated rows
-each take a place of their own. An empty table gives an empty result.
+(ties) each take a place of their own, and as they are equal it doesn't matter which takes which.
+Texts have any length. An empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -22,14 +25,16 @@ from bisect import bisect_left
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import checkpointed, rank_in_key
+from .common import checkpointed
 
 #: Largest ring that may be planned on the driver and broadcast.
 MOST_POINTS = 1 << 20
 RING = 1 << 32
+#: Parts of an arc's hashes within which rows are ranked.
+SUBS = 256
 
 
-def ring(shards: int, points: int = 64, salt: str = "ring") -> list[tuple[int, int]]:
+def ring(shards: int, points: int = 256, salt: str = "ring") -> list[tuple[int, int]]:
     """(position, shard) of every virtual node, clockwise."""
     if not 0 < shards * points <= MOST_POINTS:
         raise ValueError(f"1 to {MOST_POINTS} virtual nodes are supported")
@@ -79,7 +84,7 @@ def capacities(rows: int, shards: int, slack: float = 0.0) -> list[int]:
     return [int(-(-rows * (1 + slack) // shards))] * shards
 
 
-def assign(spark: SparkSession, rows: DataFrame, key: str, shards: int = 24, points: int = 64, slack: float = 0.0) -> DataFrame:
+def assign(spark: SparkSession, rows: DataFrame, key: str, shards: int = 24, points: int = 256, slack: float = 0.0) -> DataFrame:
     """Add `shard` and `slot` (gapless from 0 within a shard) to the rows."""
     nodes = ring(shards, points)
     # the owner's index, by binary search in a constant array of positions: a sorted array of at most MOST_POINTS longs
@@ -93,17 +98,25 @@ def assign(spark: SparkSession, rows: DataFrame, key: str, shards: int = 24, poi
     begin = F.element_at(first, (F.floor(F.col("__place") / width) + 1).cast("int"))
     near = F.slice(positions, begin + 1, F.lit(_most_in_a_bucket(nodes, width) + 1))
     marked = marked.withColumn("__arc", F.pmod(begin + F.size(F.filter(near, lambda p: p < F.col("__place"))), F.lit(len(nodes))).cast("int")).drop("__place")
+    whole = [F.col(f"`{c}`") for c, kind in rows.dtypes if not kind.startswith("map")]
+    marked = marked.withColumn("__digest", F.struct(F.xxhash64(F.lit("rank"), *whole).alias("a"), F.hash(F.lit("rank"), *whole).alias("b")))
     marked = checkpointed(marked.withColumn("__id", F.monotonically_increasing_id()).withColumn("__part", F.shiftright("__id", 33).cast("int")))
-    local = marked.withColumn("__local", F.row_number().over(Window.partitionBy("__part", "__arc").orderBy("__id")) - 1)
+    same = ["__part", "__arc", "__digest"]
+    local = marked.withColumn("__local", F.row_number().over(Window.partitionBy(*same).orderBy("__id")) - 1)
     counts = {r["__arc"]: r["n"] for r in marked.groupBy("__arc").agg(F.count("*").alias("n")).collect()}
     pieces = plan(nodes, counts, capacities(sum(counts.values()), shards, slack))
     by_arc: dict[int, list] = {}
     for arc, lo, hi, shard, slot in pieces:
         by_arc.setdefault(arc, []).append((lo, hi, shard, slot))
     lookup = spark.createDataFrame([(a, x) for a, x in by_arc.items()], "__arc int, __pieces array<struct<lo: bigint, hi: bigint, shard: int, slot: bigint>>")
-    ranked = rank_in_key(local, "__arc", "__part", "__local", "__rank").join(F.broadcast(lookup), "__arc")
+    before = lambda over: F.sum("__n").over(over.rowsBetween(Window.unboundedPreceding, 0)) - F.col("__n")
+    some = marked.groupBy(*same).agg(F.count("*").alias("__n")).withColumn("__sub", F.pmod(F.col("__digest.a"), F.lit(SUBS)).cast("int"))
+    within = some.withColumn("__base", before(Window.partitionBy("__arc", "__sub").orderBy("__digest", "__part")))
+    subs = some.groupBy("__arc", "__sub").agg(F.sum("__n").alias("__n")).withColumn("__start", before(Window.partitionBy("__arc").orderBy("__sub"))).drop("__n")
+    base = within.join(subs, ["__arc", "__sub"]).select(*same, (F.col("__base") + F.col("__start")).alias("__base"))
+    ranked = local.join(base, same).withColumn("__rank", F.col("__base") + F.col("__local")).join(F.broadcast(lookup), "__arc")
     hit = F.filter("__pieces", lambda p: (p["lo"] <= F.col("__rank")) & (F.col("__rank") < p["hi"]))[0]
-    return ranked.withColumn("__hit", hit).withColumn("shard", F.col("__hit.shard")).withColumn("slot", F.col("__hit.slot") + F.col("__rank") - F.col("__hit.lo")).drop("__hit", "__pieces", "__rank", "__local", "__id", "__part", "__arc")
+    return ranked.withColumn("__hit", hit).withColumn("shard", F.col("__hit.shard")).withColumn("slot", F.col("__hit.slot") + F.col("__rank") - F.col("__hit.lo")).drop("__hit", "__pieces", "__rank", "__local", "__base", "__digest", "__id", "__part", "__arc")
 
 
 def _most_in_a_bucket(nodes: list[tuple[int, int]], width: int) -> int:
@@ -113,7 +126,7 @@ def _most_in_a_bucket(nodes: list[tuple[int, int]], width: int) -> int:
     return max(seen.values())
 
 
-def shard_documents(spark: SparkSession, docs: DataFrame, shards: int = 24, points: int = 64) -> DataFrame:
+def shard_documents(spark: SparkSession, docs: DataFrame, shards: int = 24, points: int = 256) -> DataFrame:
     """doc_id, size, text_crc32, law, shard, slot, grown_shard for every row of `docs` (law `rows`)."""
     text = F.coalesce(F.col("text").cast("binary"), F.lit(b""))
     slim = docs.select("doc_id", (F.octet_length(text) + 8).cast("long").alias("size"), F.crc32(text).alias("text_crc32"))
