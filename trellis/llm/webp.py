@@ -3,15 +3,20 @@
 The decoder reads the whole lossless bit stream: prefix codes (simple and normal, with meta
 prefix images), literals, back-references with their two-dimensional distance map, the colour
 cache, and the four transforms (predictor, cross-colour, subtract-green, palette with packed
-pixels), which it inverts in reverse order. Images that are literals of one group of codes,
-with one channel that varies, take a vectorised way.
+pixels), which it inverts in reverse order. Images of one group of codes with one channel that
+varies, and predictors that look one way throughout, take a vectorised way. Pixel arrays can be
+written beside the digests.
 
-The encoder writes grey images whose samples are the payload, with a canonical prefix code made
-for each image; options add transforms, the colour cache, back-references and groups of codes.
+The encoder writes grey images whose samples are the payload. For each it chooses what seems
+shortest: plain samples, differences to the sample on the left or above (predictor), or a palette
+with packed pixels where there are few values; then what was there before becomes back-references;
+tiny images also try the colour cache. `encode` writes any image with given transforms, cache,
+back-references and groups of codes; cross-colour and groups of codes don't help grey samples.
 
 Nulls: a null text is an empty payload, padded like any other. The stored bytes depend on the
-payload alone, so equal texts give equal values. A payload too tall for one image becomes
-several, one after the other.
+payload alone, so equal texts and repeated rows give equal values; of choices of equal length (a
+tie) the first named counts. Texts have any length: a payload too tall for one image becomes
+several, one after the other. An empty table stays empty.
 """
 
 from __future__ import annotations
@@ -21,6 +26,7 @@ import heapq
 import struct
 import zlib
 from dataclasses import dataclass, field
+from functools import lru_cache
 from itertools import groupby
 
 import numpy as np
@@ -249,9 +255,9 @@ def read_pixels(bits: Bits, width: int, height: int, main: bool) -> np.ndarray:
     codes = [[read_code(bits, n) for n in alphabets] for _ in range(groups)]
     total = width * height
     if groups == 1 and not cache_bits and all(c.only is not None for c in codes[0][1:4]) and codes[0][0].only is None:
-        if (fast := literals(bits, codes[0][0], total)) is not None:
-            red, blue, alpha = (c.only for c in codes[0][1:4])
-            return (fast.astype(np.uint32) << np.uint32(8) | np.uint32(alpha << 24 | red << 16 | blue)).reshape(height, width)
+        red, blue, alpha = (c.only for c in codes[0][1:4])
+        fast = one_channel(bits, codes[0][0], codes[0][4], total, width)
+        return (fast.astype(np.uint32) << np.uint32(8) | np.uint32(alpha << 24 | red << 16 | blue)).reshape(height, width)
     out: list[int] = []
     cache = [0] * (1 << cache_bits)
     while len(out) < total:
@@ -263,8 +269,7 @@ def read_pixels(bits: Bits, width: int, height: int, main: bool) -> np.ndarray:
             new = [alpha << 24 | red << 16 | s << 8 | blue]
         elif s < LITERALS + LENGTHS:
             n = spread(s - LITERALS, bits)
-            d = spread(g[4].read(bits), bits)
-            d = max(1, NEAR[d - 1][0] + NEAR[d - 1][1] * width) if d <= len(NEAR) else d - len(NEAR)
+            d = distance(spread(g[4].read(bits), bits), width)
             if d > at or at + n > total:
                 raise ValueError("a back-reference leaves the image")
             new = out[at - d : at - d + n] if d >= n else (out[at - d :] * (n // d + 1))[:n]
@@ -277,25 +282,49 @@ def read_pixels(bits: Bits, width: int, height: int, main: bool) -> np.ndarray:
     return np.array(out, np.uint32).reshape(height, width)
 
 
-def literals(bits: Bits, code: Code, total: int) -> np.ndarray | None:
-    """`total` literals of one code, or None (and nothing read) if anything else is among them."""
+def distance(code: int, width: int) -> int:
+    """Pixels back, of a distance code: the first of them mean places nearby."""
+    return max(1, NEAR[code - 1][0] + NEAR[code - 1][1] * width) if code <= len(NEAR) else code - len(NEAR)
+
+
+def one_channel(bits: Bits, code: Code, far: Code, total: int, width: int) -> np.ndarray:
+    """The varying channel of an image: literals are only stepped over, and then looked up all at once."""
     begin = bits.at >> 3
     raw = np.frombuffer(bits.data, np.uint8, len(bits.data) - begin, begin).astype(np.uint32)
     word = raw[:-2] | raw[1:-1] << np.uint32(8) | raw[2:] << np.uint32(16)
     window = ((word[:, None] >> np.arange(8, dtype=np.uint32)) & np.uint32((1 << code.bits) - 1)).ravel()
-    step = code.size[window].tobytes()
-    at, where = bits.at & 7, []
+    step = np.where(code.symbol < LITERALS, code.size, 0).astype(np.uint8)[window].tobytes()
+    at, where, copies, n = bits.at & 7, [], [], 0
     add, end = where.append, len(step)
-    for _ in range(total):  # where each symbol begins follows from the one before
+    while n < total:  # where each symbol begins follows from the one before
         if at >= end:
-            return None
-        add(at)
-        at += step[at]
-    symbols = code.symbol[window[where]]
-    if symbols.max(initial=0) >= LITERALS:
-        return None
+            raise ValueError("the stream ends early")
+        if size := step[at]:
+            add(at)
+            at += size
+            n += 1
+            continue
+        key = int(window[at])
+        bits.at = begin * 8 + at + int(code.size[key])
+        length = spread(int(code.symbol[key]) - LITERALS, bits)
+        back = distance(spread(far.read(bits), bits), width)
+        at = bits.at - begin * 8
+        if back > n or n + length > total:
+            raise ValueError("a back-reference leaves the image")
+        copies.append((len(where), n, length, back))
+        n += length
     bits.at = begin * 8 + at
-    return symbols
+    symbols = code.symbol[window[where]].astype(np.uint8)
+    if not copies:
+        return symbols
+    out, done, filled = np.empty(total, np.uint8), 0, 0
+    for read, start, length, back in copies:
+        out[filled:start] = symbols[done:read]
+        past = out[start - back : start - back + min(back, length)]
+        out[start : start + length] = past if back >= length else np.resize(past, length)
+        done, filled = read, start + length
+    out[filled:] = symbols[done:]
+    return out
 
 
 def channels(argb: np.ndarray) -> list[np.ndarray]:
@@ -376,9 +405,24 @@ def predicted(mode: int, left: int, top: int, right: int, corner: int) -> int:
     return BLACK
 
 
+def one_way(c: np.ndarray, mode: int, sign: int, alpha: bool) -> np.ndarray:
+    """A channel under the predictor that looks left (1) or up (2) throughout, but along the first row or column."""
+    first = 255 if alpha else 0
+    along, edge = (1, np.s_[:, 0]) if mode == 1 else (0, np.s_[0])
+    if sign > 0:
+        out = c.copy()
+        out[edge] = np.cumsum(c[edge]) + first
+        return np.cumsum(out, axis=along)
+    out = np.diff(c, axis=along, prepend=0)
+    out[edge] = np.diff(c[edge], prepend=first)
+    return out
+
+
 def predictor(argb: np.ndarray, modes: np.ndarray, bits: int, sign: int) -> np.ndarray:
     """Adds predictions to residuals (sign 1), pixel after pixel, or takes them off an image (-1)."""
     height, width = argb.shape
+    if ((modes >> 8 & 15) == (mode := int(modes.ravel()[0]) >> 8 & 15)).all() and mode in (1, 2):
+        return merged(*(one_way(c, mode, sign, k == 0) for k, c in enumerate(channels(argb))))
     source, pick = argb.ravel().tolist(), (modes >> 8 & 15).tolist()
     out = [0] * len(source)
     known = out if sign > 0 else source
@@ -575,31 +619,153 @@ def encode(argb: np.ndarray, o: Options | None = None) -> bytes:
     return file_of(w.bytes())
 
 
+#: Samples that a copy replaces at least, and that it can replace at most.
+LEAST_COPY, MOST_COPY = 24, 4096
+#: Samples up to which the colour cache is tried.
+TINY = 128
+
+
+def repeats(flat: np.ndarray) -> list[tuple[int, int, int]]:
+    """(first, samples, distance) of what was there before, in order: the nearest earlier place, taken as far as it goes."""
+    n = len(flat) - LEAST_COPY + 1
+    if n < 2:
+        return []
+    eight = np.lib.stride_tricks.as_strided(np.concatenate([flat, np.zeros(8, np.uint8)]).view(np.uint8), (len(flat), 8), (1, 1)).copy().view("<u8").ravel()
+    with np.errstate(over="ignore"):  # a hash of LEAST_COPY samples; what it proposes is compared
+        key = sum((eight[k : k + n] * np.uint64(0x9E3779B97F4A7C15 + 2 * k) for k in range(0, LEAST_COPY, 8)), np.zeros(n, np.uint64))
+    order = np.argsort(key, kind="stable")
+    same = key[order[1:]] == key[order[:-1]]
+    if not same.any():
+        return []
+    before = np.full(n, -1, np.int64)
+    before[order[1:][same]] = order[:-1][same]
+    raw, out, at = flat.tobytes(), [], 0
+    for k in np.flatnonzero(before >= 0).tolist():
+        if k < at:
+            continue
+        start = int(before[k])
+        size, most = LEAST_COPY, min(MOST_COPY, len(raw) - k)
+        if raw[k : k + size] != raw[start : start + size]:
+            continue
+        while size < most:  # runs of equal bytes are compared in steps that shrink at the end
+            more = min(64, most - size)
+            while more and raw[k + size : k + size + more] != raw[start + size : start + size + more]:
+                more //= 2
+            if not more:
+                break
+            size += more
+        out.append((k, size, k - start))
+        at = k + size
+    return out
+
+
+@lru_cache(maxsize=64)
+def short_codes(width: int) -> dict[int, int]:
+    """Distances that have a short code in images of a width."""
+    return {max(1, dx + dy * width): k + 1 for k, (dx, dy) in reversed(list(enumerate(NEAR)))}
+
+
+def packed_bits(head: Writer, value: np.ndarray, size: np.ndarray) -> bytes:
+    """The head's bits, then the values' one after the other."""
+    end = head.n + np.cumsum(size)
+    at = end - size
+    total = (int(end[-1] if len(end) else head.n) + 7) // 8
+    whole, shifted, byte = np.zeros(total + 4), value << (at & 7), at >> 3
+    for k in range(4):  # bits of different symbols never meet, so sums are unions
+        part = np.bincount(byte + k, weights=(shifted >> 8 * k & 255).astype(float))
+        whole[: len(part)] += part[: len(whole)]
+    out = whole[:total].astype(np.uint8)
+    start = np.frombuffer(head.bytes(), np.uint8)
+    out[: len(start)] |= start
+    return out.tobytes()
+
+
+def write_channel(w: Writer, flat: np.ndarray, width: int, alpha: int) -> bytes:
+    """An image whose green alone varies, as literals and copies under one group of codes; vectorised."""
+    copies = repeats(flat)
+    literal = np.ones(len(flat), bool)
+    for k, n, _ in copies:
+        literal[k : k + n] = False
+    where = np.flatnonzero(literal)
+    shorts = short_codes(width)
+    lengths = [gather(n) for _, n, _ in copies]
+    backs = [gather(shorts.get(d, d + len(NEAR))) for *_, d in copies]
+    counts = np.bincount(flat[where], minlength=LITERALS + LENGTHS)
+    for prefix, *_ in lengths:
+        counts[LITERALS + prefix] += 1
+    far = np.bincount([x[0] for x in backs], minlength=DISTANCES) if backs else np.zeros(DISTANCES, np.int64)
+    tables = []
+    for own, constants in ((counts.tolist(), (0, 0, alpha)), (far.tolist(), ())):
+        used = [k for k, n in enumerate(own) if n]
+        size = code_lengths(own)
+        write_code(w, size, used)
+        tables.append((np.array(canonical(size) if len(used) > 1 else size, np.int64), np.array(size, np.int64)))
+        for constant in constants:  # red, blue and alpha
+            write_code(w, [0] * 256, [constant])
+    # literals take one place, copies four, in the order of where they begin
+    begins = np.array([k for k, *_ in copies], np.int64)
+    place = np.arange(len(where)) + 4 * np.searchsorted(begins, where)
+    value, bits = np.zeros(len(where) + 4 * len(copies), np.int64), np.zeros(len(where) + 4 * len(copies), np.int64)
+    (codes, sizes), (far_codes, far_sizes) = tables
+    value[place], bits[place] = codes[flat[where]], sizes[flat[where]]
+    if copies:
+        first = np.searchsorted(where, begins) + 4 * np.arange(len(copies))
+        (p, x, e), (q, y, f) = (np.array(z, np.int64).T for z in (lengths, backs))
+        for k, (v, n) in enumerate(((codes[LITERALS + p], sizes[LITERALS + p]), (x, e), (far_codes[q], far_sizes[q]), (y, f))):
+            value[first + k], bits[first + k] = v, n
+    return packed_bits(w, value, bits)
+
+
+def entropy_bits(flat: np.ndarray) -> float:
+    counts = np.bincount(flat.ravel())
+    counts = counts[counts > 0]
+    return float((counts * np.log2(counts.sum() / counts)).sum())
+
+
 def encode_grey(samples: np.ndarray) -> bytes:
-    """A grey image of the samples (height x width), one prefix code over them; vectorised."""
+    """A grey image of the samples (height x width), in the way that seems shortest."""
     height, width = samples.shape
-    flat = samples.ravel()
+    values = np.flatnonzero(np.bincount(samples.ravel(), minlength=256))
     w = Writer()
-    for value, n in ((SIGNATURE, 8), (width - 1, 14), (height - 1, 14), (0, 1), (0, 3), (1 | SUBTRACT_GREEN << 1, 3), (0, 1), (0, 1), (0, 1)):
+    for value, n in ((SIGNATURE, 8), (width - 1, 14), (height - 1, 14), (0, 1), (0, 3)):
         w.put(value, n)
-    counts = np.bincount(flat, minlength=LITERALS + LENGTHS).tolist()
-    used = [s for s, n in enumerate(counts) if n]
-    lengths = code_lengths(counts)
-    write_code(w, lengths, used)
-    for value in (0, 0, 255, 0):  # red and blue less green, alpha, and no distance
-        write_code(w, [0] * 256, [value])
-    size, code = np.array(lengths, np.int64)[flat], np.array(canonical(lengths), np.int64)[flat]
-    end = w.n + np.cumsum(size)
-    at = end - size
-    head = w.bytes()
-    whole = np.zeros((int(end[-1]) + 7) // 8 + 3)
-    shifted, byte = code << (at & 7), at >> 3
-    for k in range(3):  # bits of different symbols never meet, so sums are unions
-        part = np.bincount(byte + k, weights=(shifted >> 8 * k & 255).astype(float))
-        whole[: len(part)] += part
-    out = whole[: (int(end[-1]) + 7) // 8].astype(np.uint8)
-    out[: len(head)] |= np.frombuffer(head, np.uint8)
-    return file_of(out.tobytes())
+    wide, alpha = width, 255
+    if len(values) <= 16:
+        index, pack = np.searchsorted(values, samples).astype(np.int64), packing(len(values))
+        each, wide = 8 >> pack, blocks(width, pack)
+        padded = np.zeros((height, wide << pack), np.int64)
+        padded[:, :width] = index
+        green = (padded.reshape(height, wide, 1 << pack) << (np.arange(1 << pack) * each)).sum(2).astype(np.uint8) if pack else index.astype(np.uint8)
+        grey = values.astype(np.uint32)
+        w.put(1 | PALETTE << 1, 3)
+        w.put(len(values) - 1, 8)
+        write_pixels(w, merged(*(np.diff(c, prepend=0) for c in channels(np.uint32(BLACK) | grey << np.uint32(16) | grey << np.uint32(8) | grey)))[None], False, Options())
+    else:
+        w.put(1 | SUBTRACT_GREEN << 1, 3)
+        signed = samples.astype(np.int64)
+        ways = [signed, *(one_way(signed, mode, -1, False) & 255 for mode in (1, 2))]
+        cost = [entropy_bits(x) for x in ways]
+        mode = min(range(3), key=lambda k: (cost[k] + 60 * (k > 0), k))
+        green = ways[mode].astype(np.uint8)
+        if mode:
+            size = 9  # the largest blocks
+            w.put(1 | PREDICTOR << 1, 3)
+            w.put(size - 2, 3)
+            write_pixels(w, np.full((blocks(height, size), blocks(width, size)), BLACK | mode << 8, np.uint32), False, Options())
+            alpha = 0
+    w.put(0, 1)  # no more transforms
+    best = Writer()
+    best.value, best.n = w.value, w.n
+    best.put(0, 2)  # no colour cache, no groups of codes
+    out = write_channel(best, green.ravel(), wide, alpha)
+    if samples.size <= TINY:
+        argb = green.astype(np.uint32) << np.uint32(8) | np.uint32(alpha << 24)
+        for bits in (1, 3):
+            other = Writer()
+            other.value, other.n = w.value, w.n
+            write_pixels(other, argb, True, Options(cache_bits=bits))
+            out = min(out, other.bytes(), key=len)
+    return file_of(out)
 
 
 def store(payload: bytes) -> bytes:
@@ -609,13 +775,22 @@ def store(payload: bytes) -> bytes:
     return b"".join(encode_grey(x) for x in cut)
 
 
-def load(media: bytes) -> bytes:
-    """The payload of stored images."""
+def images(media: bytes) -> list[np.ndarray]:
+    """Pixel arrays of stored images."""
     at, out = 0, []
     while at < len(media):
         argb, at = decode_at(media, at)
-        out.append((argb >> np.uint32(8)).astype(np.uint8).tobytes())
-    return b"".join(out)
+        out.append(argb)
+    return out
+
+
+def samples_of(arrays: list[np.ndarray]) -> bytes:
+    return b"".join((argb >> np.uint32(8)).astype(np.uint8).tobytes() for argb in arrays)
+
+
+def load(media: bytes) -> bytes:
+    """The payload of stored images."""
+    return samples_of(images(media))
 
 
 def features(samples: np.ndarray) -> str:
@@ -631,18 +806,23 @@ def padded(text: str | None) -> tuple[int, bytes]:
     return len(raw), raw + bytes(max(1, -(-len(raw) // COLUMNS)) * COLUMNS - len(raw))
 
 
-def media_columns(docs: DataFrame, with_media: bool = False) -> DataFrame:
-    """doc_id, n_bytes, payload and media digests and features of every document (and its media)."""
-    schema = "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string" + ", media binary" * with_media
+def media_columns(docs: DataFrame, with_media: bool = False, with_pixels: bool = False) -> DataFrame:
+    """doc_id, n_bytes, payload and media digests and features of every document.
+
+    Optional: its media, and its decoded images as pixels: (height, width, ARGB of 4 bytes a pixel, little-endian).
+    """
+    schema = "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string" + ", media binary" * with_media + ", images array<struct<height: int, width: int, argb: binary>>" * with_pixels
 
     def work(batch: pa.RecordBatch) -> dict:
         rows = []
         for text in batch.column("text").to_pylist():
             n, payload = padded(text)
             media = store(payload)
-            back = load(media)
-            rows.append((n, len(payload), hashlib.sha256(back).hexdigest(), zlib.crc32(back[-COLUMNS:]), len(media), hashlib.sha256(media).hexdigest(), features(np.frombuffer(back, np.uint8)), media))
-        names = ("n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature", "media")
-        return {"doc_id": batch.column("doc_id")} | dict(zip(names, zip(*rows, strict=True) if rows else [[]] * 8, strict=True))
+            arrays = images(media)
+            back = samples_of(arrays)
+            pixels = [{"height": x.shape[0], "width": x.shape[1], "argb": x.astype("<u4").tobytes()} for x in arrays] if with_pixels else None
+            rows.append((n, len(payload), hashlib.sha256(back).hexdigest(), zlib.crc32(back[-COLUMNS:]), len(media), hashlib.sha256(media).hexdigest(), features(np.frombuffer(back, np.uint8)), media, pixels))
+        names = ("n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature", "media", "images")
+        return {"doc_id": batch.column("doc_id")} | dict(zip(names, zip(*rows, strict=True) if rows else [[]] * len(names), strict=True))
 
     return map_rows(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text"), work, schema)
