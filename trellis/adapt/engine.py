@@ -12,7 +12,7 @@ from pyspark.sql import functions as F
 from ..operators.evaluate import Options, Traffic, distributed, projected, star
 from ..plans.cost import plan_order
 from ..plans.parser import parse
-from ..plans.patterns import BGP, Query, Var, components, is_subject_star
+from ..plans.patterns import BGP, Query, Var, components, is_subject_star, query_text
 from ..plans.stats import Predicate
 from ..sources.store import Store
 from .heatmap import HeatMap
@@ -32,6 +32,7 @@ class Run:
     mode: str
     seconds: float = 0.0
     traffic: int = 0
+    sent: int = 0  # values that redistribution after it has sent between workers
     replicas: int = 0
     made: int = 0
     evicted: int = 0
@@ -50,6 +51,7 @@ class Engine:
     frozen: bool = False
     heat: HeatMap = field(default_factory=HeatMap)
     log: list[Run] = field(default_factory=list)
+    saved: int = 0  # entries of the log that are stored already
     index: Index = field(init=False)
 
     def __post_init__(self):
@@ -57,12 +59,16 @@ class Engine:
 
     # --- planning
 
+    def rule(self) -> dict:
+        """How trees are grown, as `build_tree` takes it: the same for the engine's own queries and for a monitored stream."""
+        return {"policy": self.policy, "stats": self.store.raw_stats, "least": LEAST_FOR_EACH * self.store.workers if self.guard else 0}
+
     def tree(self, bgp: BGP) -> Tree | None:
         """The query's tree under this version's scores; None where it has none."""
         if any(isinstance(p.p, Var) for p in bgp) or len(components(bgp)) > 1:
             return None
         try:
-            return build_tree(bgp, vertex_scores(bgp, self.store.stats, self.policy), self.policy, stats=self.store.raw_stats, least=LEAST_FOR_EACH * self.store.workers if self.guard else 0)
+            return build_tree(bgp, vertex_scores(bgp, self.store.stats, self.policy), **self.rule())
         except ValueError:
             return None
 
@@ -98,8 +104,8 @@ class Engine:
             self.index.touch(tree)
             out = parallel(self.index, tree)
             if self.index.prove_empty(tree):
-                return out.limit(0), "empty"
-            return out, mode
+                return self.index.lease(out.limit(0), tree), "empty"
+            return self.index.lease(out, tree), mode
         return distributed(self.store, bgp, self.options, traffic), mode
 
     def run(self, query: str | Query | BGP, meter: bool = False, count: bool = False, sink: bool = False) -> DataFrame:
@@ -112,14 +118,16 @@ class Engine:
         traffic = Traffic() if meter else None
         bindings, mode = self.answer(q.bgp, traffic)
         out = self.finish(q, bindings)
+        if mode in ("parallel", "empty"):
+            self.index.lease(out, self.mode(q.bgp)[1])
         rows = out.count() if count else None
         if sink:
             out.write.format("noop").mode("overwrite").save()
-        run = Run(str(query), mode, time.perf_counter() - began, traffic.total if traffic else 0, rows=rows)
+        run = Run(query if isinstance(query, str) else query_text(q.bgp), mode, time.perf_counter() - began, traffic.total if traffic else 0, rows=rows)
         if self.adaptive and not self.frozen:
-            before = self.index.evicted
+            before, sent = self.index.evicted, self.index.sent
             run.made = len(self.observe(q.bgp))
-            run.evicted = self.index.evicted - before
+            run.evicted, run.sent = self.index.evicted - before, self.index.sent - sent
         run.replicas = self.index.replicas
         self.log.append(run)
         return out
@@ -175,6 +183,24 @@ class Engine:
         self.frozen = True
         return self
 
+    def save(self, path: str) -> str:
+        """Appends what the log has gained since the last time, as JSON lines: (k, text)."""
+        new = [(k, r.text) for k, r in enumerate(self.log) if k >= self.saved]
+        if new:
+            self.store.spark.createDataFrame(new, "k long, text string").coalesce(1).write.mode("append").json(path)
+            self.saved = len(self.log)
+        return path
+
+    def restore(self, path: str) -> Engine:
+        """A new engine, its heat map and indexes replayed from a stored log; the store is read as it is."""
+        rows = self.store.spark.read.schema("k long, text string").json(path).orderBy("k")
+        out = replace(self, heat=HeatMap(), log=[], frozen=False, saved=0)
+        for r in rows.toLocalIterator():
+            if (tree := out.tree(parse(r["text"]).bgp)) is not None:
+                out.heat.add(tree)
+        out.adapt()
+        return out
+
     def restored(self, queries: Iterable[str | Query | BGP]) -> Engine:
         """A new engine over the same store with this one's settings, its state replayed from a query log."""
         return replace(self, heat=HeatMap(), log=[], frozen=False).train(queries)

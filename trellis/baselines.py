@@ -9,7 +9,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .operators.evaluate import Options, Traffic, distributed, local_join, plain, plain_of
+from .operators.evaluate import Options, Traffic, connected, distributed, local_join, plain, plain_of
 from .plans.patterns import BGP, Const, Pattern, Var
 from .session import checkpointed, shared_folder
 from .sources.store import Store, home
@@ -41,13 +41,14 @@ def _written(df: DataFrame) -> DataFrame:
 
 def staged(scan: Callable[[Pattern], DataFrame], bgp: BGP, hint: str) -> DataFrame:
     """Joins in text order, reduce-side, with every intermediate result written and read again."""
+    connected(bgp)
     left, out, have = list(bgp.patterns), None, set()
     while left:
         p = next((p for p in left if have & set(p.variables)), left[0])
         left.remove(p)
         right = scan(p)
         shared = [v for v in p.variables if v in have]
-        out = right if out is None else _written(out.join(right.hint(hint), shared)) if shared else out.crossJoin(right)
+        out = right if out is None else _written(out.join(right.hint(hint), shared))
         have |= set(p.variables)
     return out
 
@@ -189,6 +190,7 @@ def merge_joins(store: Store, bgp: BGP) -> DataFrame:
 
 def explore(store: Store, bgp: BGP) -> DataFrame:
     """Graph exploration: candidates of each pattern are reduced forward by those before, then joined in one place."""
+    connected(bgp)
     kept: list[DataFrame] = []
     seen: dict[str, DataFrame] = {}
     left, have = list(bgp.patterns), set()
@@ -207,7 +209,7 @@ def explore(store: Store, bgp: BGP) -> DataFrame:
     for rows in kept[1:]:
         rows = rows.coalesce(1)
         shared = [c for c in rows.columns if c in out.columns]
-        out = out.join(rows, shared) if shared else out.crossJoin(rows)
+        out = out.join(rows, shared)
     return out.coalesce(1)
 
 
@@ -221,6 +223,46 @@ def broadcast_all(store: Store, bgp: BGP, traffic: Traffic | None = None) -> Dat
     return distributed(store, bgp, Options(locality=False), traffic).drop("home")
 
 
+def triples_of(store: Store) -> DataFrame:
+    return store.spark.table(store.ps).select("s", "p", "o")
+
+
+_PREPARED: dict[tuple[str, str], DataFrame] = {}
+
+
+def prepared(store: Store, kind: str) -> DataFrame:
+    """What a replicating or partitioning system builds before any query, over the whole graph: once for each store."""
+    key = (store.ps, kind)
+    if key not in _PREPARED:
+        triples = triples_of(store)
+        if kind == "summary":
+            _PREPARED[key] = min_cut(triples, store.workers)
+        else:
+            placed = khop(triples, 2, store.workers, "undirected" if kind == "khop_undirected" else "forward", prefix=kind == "khop_prefix")
+            _PREPARED[key] = _written(placed.repartition(store.workers, "home").sortWithinPartitions("home", "p", "s"))
+    return _PREPARED[key]
+
+
+#: The systems that `answer` knows.
+KINDS = ("batch_random", "batch_range", "khop", "khop_undirected", "khop_prefix", "summary", "merge", "explore", "central", "broadcast_all")
+
+
+def answer(store: Store, kind: str, bgp: BGP) -> DataFrame:
+    """A query by a comparison system that holds the whole graph."""
+    triples = triples_of(store)
+    if kind == "batch_random":
+        return batch_random(triples, bgp, store.workers)
+    if kind == "batch_range":
+        return batch_range(triples, bgp, store.workers)
+    if kind.startswith("khop"):
+        return khop_answer(store, prepared(store, kind), bgp, 2, store.workers, forward=kind != "khop_undirected", prefix=kind == "khop_prefix")[0]
+    if kind == "summary":
+        return pruned_by_summary(triples, prepared(store, kind), bgp)
+    if kind == "central":
+        return central(triples, bgp)
+    return {"merge": merge_joins, "explore": explore, "broadcast_all": broadcast_all}[kind](store, bgp)
+
+
 def replication(placed: DataFrame, originals: int) -> DataFrame:
     """One row: stored triples, and those beyond the originals as a share of them."""
     return placed.agg(F.count("*").alias("stored")).withColumn("ratio", (F.col("stored") - originals) / originals)

@@ -159,9 +159,16 @@ def agg_distinct(s, d):
     return t(s, d, "lineitem").groupBy("l_returnflag").agg(F.count_distinct("l_partkey").alias("parts"), F.count_distinct("l_suppkey").alias("suppliers"))
 
 
-@op(None)
+@op("select count(distinct l_orderkey) as orders, true as orders_close, true as quartiles_close from lineitem")
 def agg_approx(s, d):
-    return t(s, d, "lineitem").agg(F.approx_count_distinct("l_orderkey", 0.02).alias("orders"), F.percentile_approx("l_extendedprice", [0.25, 0.5, 0.75], 10000).alias("quartiles"))
+    """Approximate aggregates: the exact count, and whether they keep their bounds (five deviations; one rank in 1,000)."""
+    rows = t(s, d, "lineitem")
+    about = rows.agg(F.approx_count_distinct("l_orderkey", 0.02).alias("orders"), F.percentile_approx("l_extendedprice", [0.25, 0.5, 0.75], 10000).alias("q")).first()
+    price = F.col("l_extendedprice")
+    # of the ranks that a value has, one is near the quantile
+    near = [(F.avg((price < q).cast("double")) <= (k + 1) / 4 + 0.001) & (F.avg((price <= q).cast("double")) >= (k + 1) / 4 - 0.001) for k, q in enumerate(about["q"])]
+    orders = F.count_distinct("l_orderkey")
+    return rows.agg(orders.alias("orders"), (F.abs(F.lit(about["orders"]) - orders) <= 0.1 * orders).alias("orders_close"), (near[0] & near[1] & near[2]).alias("quartiles_close"))
 
 
 @op("select l_returnflag, round(stddev_samp(l_quantity), 6) as sd, round(var_pop(l_quantity), 6) as var, round(corr(l_quantity, l_extendedprice), 6) as corr from lineitem group by 1")
@@ -240,9 +247,16 @@ def topk_group(s, d):
     return A.top_k(t(s, d, "part"), 3, [F.desc("p_retailprice"), F.col("p_partkey")], ["p_brand"]).select("p_brand", "p_partkey")
 
 
-@op(None)
+@op("select o_orderstatus, count(*) as n, true as uniform_close, true as stratified_close from orders group by 1")
 def sample(s, d):
-    return t(s, d, "orders").sample(0.1, seed=1).select("o_orderkey").union(t(s, d, "orders").sampleBy("o_orderstatus", {"F": 0.05, "O": 0.1}, seed=2).select("o_orderkey"))
+    """Uniform and stratified samples: how many rows there are of each status, and whether the samples' sizes are within six deviations."""
+    rows = t(s, d, "orders")
+    shares = {"F": 0.05, "O": 0.1}
+    size = lambda part, name: part.groupBy("o_orderstatus").agg(F.count("*").alias(name))
+    n = size(rows, "n").join(size(rows.sample(0.1, seed=1), "a"), "o_orderstatus", "left").join(size(rows.sampleBy("o_orderstatus", shares, seed=2), "b"), "o_orderstatus", "left").na.fill(0)
+    share = F.coalesce(F.create_map(*[F.lit(x) for kv in shares.items() for x in kv])[F.col("o_orderstatus")], F.lit(0.0))
+    close = lambda k, p: F.abs(F.col(k) - p * F.col("n")) <= 6 * F.sqrt(p * (1 - p) * F.col("n")) + 3 * F.ceil(p)
+    return n.select("o_orderstatus", "n", close("a", F.lit(0.1)).alias("uniform_close"), close("b", share).alias("stratified_close"))
 
 
 @op("select c_nationkey as k from customer where c_nationkey < 5 union select s_nationkey from supplier where s_nationkey < 8")
@@ -316,11 +330,14 @@ def fn_cast(s, d):
     return triples.withColumn("v", typed_object("dbl")).groupBy("p").agg(F.round(F.sum("v"), 2).alias("total"), F.count_if(F.col("v").isNull()).alias("bad"))
 
 
-@op(None)
+@op("select count(*) as subjects, count(*) as ids, 8 :: bigint as homes, 0 :: bigint as astray from customer")
 def fn_hash(s, d):
-    from ..sources.store import home
+    """Ids and homes of subjects: distinct ids, all homes in use, and no subject away from the bucket that Spark gives its home."""
+    from ..sources.store import home, seeds
 
-    return triples_from_tables(s, d, ("locatedIn",)).select("s", F.xxhash64("s").alias("id"), home("s", 8).alias("home"))
+    rows = triples_from_tables(s, d, ("locatedIn",)).select("s", F.xxhash64("s").alias("id"), home("s", 8).alias("home"))
+    bucket = F.array_position(F.array(*map(F.lit, seeds(8))), F.col("home")) - 1
+    return rows.agg(F.count_distinct("s").alias("subjects"), F.count_distinct("id").alias("ids"), F.count_distinct("home").alias("homes"), F.count_if(F.pmod(F.hash("home"), F.lit(8)) != bucket).alias("astray"))
 
 
 def _edges(s, d, p):
@@ -372,7 +389,15 @@ def udaf_majority(s, d):
     return majority_vote(t(s, d, "events").where("event_type in ('view', 'click', 'purchase')").select("user_id", "event_type"), "user_id", "event_type")
 
 
-@op(None)
+def _edges_sql() -> str:
+    """The templates' patterns as rows, cut from their texts."""
+    from ..workloads import TEMPLATES
+
+    rows = [(k, *part.split()) for k, text in enumerate(TEMPLATES.values()) for part in text.split(" . ")]
+    return "select * from (values " + ", ".join(f"({k}, '{a}', '{p}', '{b}')" for k, a, p, b in rows) + ") as t(qid, s, p, o)"
+
+
+@op(_edges_sql())
 def udtf_edges(s, d):
     from ..workloads import TEMPLATES, query_text, template
 

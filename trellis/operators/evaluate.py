@@ -2,17 +2,20 @@
 
 from __future__ import annotations
 
+import weakref
 from collections.abc import Callable
 from dataclasses import dataclass, field
 from functools import reduce
 
+from pyspark import StorageLevel
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..plans.cost import Case, Knowledge, Plan, order_locally, plan_order
 from ..plans.patterns import BGP, Const, Pattern, Term, Var, components, is_subject_star
 from ..session import checkpointed
-from ..sources.store import Store, home
+from ..plans.stats import Predicate
+from ..sources.store import Store, home, seeds
 
 #: Bytes up to which keys are sent to all homes: their number is bounded by exact statistics.
 BROADCAST_BYTES = 64 << 20
@@ -108,25 +111,43 @@ def execute(store: Store, plan: Plan, options: Options | None = None, traffic: T
     options, known = options or Options(), known or store.knowledge
     out: DataFrame | None = None
     done: list[tuple[Pattern, object]] = []
+    kept: list[DataFrame] = []
+    moved = False  # a semi-join is in `out`: it is kept before the next, which reads it twice
     for k, (p, case, column) in enumerate(plan.steps):
         if out is None:
             out = store.answer(p)
         elif case is Case.LOCAL:
             out = local_join(out, store.answer(p))
         else:
+            if moved:
+                out = out.persist(StorageLevel.DISK_ONLY)
+                kept.append(out)
             out = semi_join(store, out, p, column, "hash" if case is Case.HASH else "broadcast", bound_of(done, column), options, traffic)
+            moved = True
         done.append((p, known(p)))
         if k and k % CUT_AFTER == 0:
             out = checkpointed(out).repartition(store.workers, "home")
+            moved = False
+    return with_kept(out, kept)
+
+
+def with_kept(out: DataFrame, kept: list[DataFrame]) -> DataFrame:
+    """An answer that gives its steps' blocks back when it is let go; whatever is derived from it then recomputes them."""
+    for step in kept:
+        weakref.finalize(out, step.unpersist).atexit = False
     return out
 
 
+def connected(bgp: BGP, cross: bool = False) -> None:
+    if len(components(bgp)) > 1 and not cross:
+        raise ValueError("the pattern isn't connected; ask for the product of its parts explicitly")
+
+
 def distributed(store: Store, bgp: BGP, options: Options | None = None, traffic: Traffic | None = None, cross: bool = False) -> DataFrame:
     """Answers of a pattern by the planner's order; unconnected parts only on demand."""
     options = options or Options()
     parts = components(bgp)
-    if len(parts) > 1 and not cross:
-        raise ValueError("the pattern isn't connected; ask for the product of its parts explicitly")
+    connected(bgp, cross)
     store.refine_all(bgp)
     outs = []
     for part in parts:
@@ -144,8 +165,41 @@ def star(store: Store, bgp: BGP) -> DataFrame:
     return reduce(local_join, [store.answer(p) for p in order])
 
 
-def plain(triples: Callable[[Pattern], DataFrame], bgp: BGP, hint: str | None = None) -> DataFrame:
+def by_worker(store: Store, orders: dict[int, tuple], run: Callable[[tuple, list[int]], DataFrame]) -> DataFrame:
+    """Plans of workers that chose the same order as one, on their own buckets; the union of these."""
+    groups: dict[tuple, list[int]] = {}
+    for worker, order in orders.items():
+        groups.setdefault(order, []).append(worker)
+    return reduce(DataFrame.union, [run(order, homes) for order, homes in groups.items()])
+
+
+def star_by_worker(store: Store, bgp: BGP) -> DataFrame:
+    """A star in which each worker joins in the order of its own statistics."""
+    if not is_subject_star(bgp):
+        raise ValueError("not a star around one subject")
+    store.refine_all(bgp)
+
+    def own(worker: int) -> Knowledge:
+        def known(p: Pattern) -> Predicate:
+            whole, base = store.knowledge(p), store.stats.get(str(p.p))
+            here = store.local_statistics()[worker].get(str(p.p))
+            if base is None:
+                return whole
+            if here is None:
+                return Predicate(str(p.p), 0, 0, 0)
+            share = whole.card / base.card if base.card else 0.0  # of constants, which only the whole knows
+            return Predicate(str(p.p), round(here.card * share), max(1, round(here.n_s * share)), max(1, round(here.n_o * share)))
+
+        return known
+
+    orders = {w: tuple(order_locally(bgp, own(w))) for w in seeds(store.workers)}
+    names = ["home", *bgp.variables]
+    return by_worker(store, orders, lambda order, homes: reduce(local_join, [store.answer(p).where(F.col("home").isin(homes)) for p in order]).select(*names))
+
+
+def plain(triples: Callable[[Pattern], DataFrame], bgp: BGP, hint: str | None = None, cross: bool = False) -> DataFrame:
     """The reference: joins of pattern scans in text order, connected ones first, as Catalyst likes them."""
+    connected(bgp, cross)
     left, out, have = list(bgp.patterns), None, set()
     while left:
         p = next((p for p in left if have & set(p.variables)), left[0])

@@ -3,15 +3,18 @@
 from __future__ import annotations
 
 from collections.abc import Callable
-from functools import partial
+from dataclasses import replace
+from functools import partial, reduce
+from itertools import permutations
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import baselines, measures
 from .adapt.engine import Engine
+from .adapt.redistribute import parallel_by_worker
 from .operators import algebra_queries
-from .operators.evaluate import Options, distributed, execute, plain_of, projected
+from .operators.evaluate import Options, distributed, execute, plain_of, projected, star_by_worker
 from .plans.cost import plan_order
 from .plans.stats import predicate_statistics, profile, vertex_degree
 from .sources.files import round_trip_csv, round_trip_json, round_trip_ntriples
@@ -57,31 +60,8 @@ def summed_sql(name: str) -> str:
 
 
 def baseline(kind: str, name: str, spark: SparkSession, sf_dir: str) -> DataFrame:
-    store, bgp = store_of(spark, sf_dir, WORKERS), template(name)
-    triples = spark.table(store.ps).select("s", "p", "o")
-    names = {c.value for p in bgp for c in (p.p,)}
-    few = triples.where(F.col("p").isin(*names))
-    if kind == "batch_random":
-        out = baselines.batch_random(few, bgp, WORKERS)
-    elif kind == "batch_range":
-        out = baselines.batch_range(few, bgp, WORKERS)
-    elif kind == "khop":
-        out = baselines.khop_answer(store, baselines.khop(few, 2, WORKERS), bgp, 2, WORKERS)[0]
-    elif kind == "khop_undirected":
-        out = baselines.khop_answer(store, baselines.khop(few, 2, WORKERS, "undirected"), bgp, 2, WORKERS, forward=False)[0]
-    elif kind == "khop_prefix":
-        out = baselines.khop_answer(store, baselines.khop(few, 2, WORKERS, prefix=True), bgp, 2, WORKERS, prefix=True)[0]
-    elif kind == "summary":
-        out = baselines.pruned_by_summary(few, baselines.min_cut(few, WORKERS, 2), bgp)
-    elif kind == "merge":
-        out = baselines.merge_joins(store, bgp)
-    elif kind == "explore":
-        out = baselines.explore(store, bgp)
-    elif kind == "central":
-        out = baselines.central(few, bgp)
-    else:
-        out = baselines.broadcast_all(store, bgp)
-    return summed(out, name)
+    """A template by a comparison system over the whole graph."""
+    return summed(baselines.answer(store_of(spark, sf_dir, WORKERS), kind, template(name)), name)
 
 
 BASELINES = {"batch_random": "uni_q02", "batch_range": "uni_q02", "khop": "uni_q08", "khop_undirected": "uni_q11", "khop_prefix": "uni_q08", "summary": "uni_q11", "merge": "uni_q02", "explore": "uni_q02", "central": "uni_q11", "broadcast_all": "uni_q02"}
@@ -111,6 +91,43 @@ def placement(how: str, spark: SparkSession, sf_dir: str) -> DataFrame:
     return balance(place_by(triples, how, 16), 16).withColumn("placement", F.lit(how))
 
 
+def placement_invariants(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What every placement keeps: all triples once, their mean, and how its extremes lie around it."""
+    parts = [placement(how, spark, sf_dir).select("placement", "total", "avg", ((F.col("max") >= F.col("avg")) & (F.col("min") <= F.col("avg")) & (F.col("sd") <= F.col("max") - F.col("min"))).alias("ordered")) for how in ("subject", "object", "random")]
+    return parts[0].union(parts[1]).union(parts[2])
+
+
+def index_orders(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Look-ups of three patterns by each of the six orders of s, p and o, and by the one that suits best."""
+    from .plans.patterns import Const, Pattern, Var
+
+    store = store_of(spark, sf_dir, WORKERS)
+    s, p, o = Var("s"), Var("p"), Var("o")
+    wanted = {"subject": Pattern(Const("nation/1"), p, o), "object": Pattern(s, p, Const("nation/1")), "predicate and object": Pattern(s, Const("partOf"), Const("region/1"))}
+    rows = []
+    for order in (*map("".join, permutations("spo")), "best"):
+        if order != "best":
+            store.add_order(order)
+        one = store if order == "best" else replace(store, copies={order: store.copies[order]})
+        rows += [one.look_up(q).agg(F.count("*").alias("n")).select(F.lit(order).alias("index_order"), F.lit(name).alias("pattern"), "n") for name, q in wanted.items()]
+    return reduce(DataFrame.union, rows)
+
+
+def by_worker(name: str, kind: str, spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A template answered with each worker's own order, from its own statistics."""
+    store, bgp = store_of(spark, sf_dir, WORKERS), template(name)
+    if kind == "star":
+        return summed(star_by_worker(store, bgp).drop("home"), name)
+    engine = Engine(store, threshold=1, budget=50.0).train([bgp])
+    return summed(parallel_by_worker(engine.index, engine.tree(bgp)).drop("home"), name)
+
+
+def literal_core(name: str, spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A template from the index, with the core as the scores alone have it, however few values it takes."""
+    engine = Engine(store_of(spark, sf_dir, WORKERS), threshold=1, budget=50.0, guard=False).train([template(name)])
+    return summed(engine.answer(template(name))[0].drop("home"), name)
+
+
 def placement_modulo(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The simplification on numbers: an order's key modulo the workers; counts by worker index."""
     from .sources.store import seeds
@@ -191,6 +208,12 @@ def _registry() -> tuple[dict[str, Query], dict[str, str]]:
         for mode in ("no_pinning", "no_locality", "plain"):
             q[f"{mode}_{name}"] = partial(answer, name, mode=mode)
             sql[f"{mode}_{name}"] = summed_sql(name)
+    for name, kind in (("uni_q04", "star"), ("uni_q02", "parallel"), ("div_f1", "parallel")):
+        q[f"by_worker_{name}"] = partial(by_worker, name, kind)
+        sql[f"by_worker_{name}"] = summed_sql(name)
+    for name in ("uni_q02", "uni_q11", "enc_y4"):
+        q[f"literal_core_{name}"] = partial(literal_core, name)
+        sql[f"literal_core_{name}"] = summed_sql(name)
     for name in ("uni_q04", "div_s2"):
         q[f"star_{name}"] = partial(answer, name, mode="auto")
         sql[f"star_{name}"] = summed_sql(name)
@@ -218,6 +241,10 @@ def _registry() -> tuple[dict[str, Query], dict[str, str]]:
     )
     for how in ("subject", "object", "random"):
         q[f"placement_{how}"] = partial(placement, how)
+    q["placement_invariants"] = placement_invariants
+    sql["placement_invariants"] = f"select h.placement, n as total, n / 16 as avg, true as ordered from (select count(*) as n from ({core}) as t) as c, (values ('subject'), ('object'), ('random')) as h(placement)"
+    q["index_orders"] = index_orders
+    sql["index_orders"] = f"with t as materialized ({core}) select i.index_order, x.pattern, x.n from (values ('spo'), ('sop'), ('pso'), ('pos'), ('osp'), ('ops'), ('best')) as i(index_order), (select 'subject' as pattern, count(*) filter (s = 'nation/1') as n from t union all select 'object', count(*) filter (o = 'nation/1') from t union all select 'predicate and object', count(*) filter (p = 'partOf' and o = 'region/1') from t) as x"
     q["placement_modulo"] = placement_modulo
     sql["placement_modulo"] = "select cast(o_orderkey % 16 as bigint) as worker, count(*) as n from orders group by 1"
     q["encoded_div_s5"] = encoded_answer

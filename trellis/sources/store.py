@@ -12,7 +12,7 @@ from pyspark.sql import functions as F
 
 
 from ..plans.patterns import Const, Pattern, Var
-from ..plans.stats import Predicate, collect_statistics, flag_outliers, predicate_statistics
+from ..plans.stats import MOST_PREDICATES, Predicate, collect_statistics, flag_outliers, predicate_statistics, statistics_by_home
 from ..session import shared_folder
 from .dictionary import build_dictionary, collisions, encode
 from .vocab import CORE, triples_from_tables
@@ -22,6 +22,8 @@ SETTINGS = {
     "spark.sql.requireAllClusterKeysForCoPartition": "false",
     "spark.sql.sources.bucketing.enabled": "true",
     "spark.sql.sources.bucketing.autoBucketedScan.enabled": "false",
+    # a step that is kept for two uses stays dealt by home
+    "spark.sql.optimizer.canChangeCachedPlanOutputPartitioning": "false",
 }
 
 
@@ -98,6 +100,8 @@ class Store:
     raw_stats: dict[str, Predicate] = field(default_factory=dict)
     total: int = 0
     known: dict[Pattern, Predicate] = field(default_factory=dict)
+    local: dict[int, dict[str, Predicate]] = field(default_factory=dict)
+    copies: dict[str, str] = field(default_factory=dict)  # other index orders: permutation of spo to table
     version: int = 0
 
     def value(self, c: Const) -> Column:
@@ -163,6 +167,44 @@ class Store:
         if need:
             self.refine(need)
 
+    def local_statistics(self) -> dict[int, dict[str, Predicate]]:
+        """Each worker's own statistics, by home and predicate: collected once a version, workers x predicates rows."""
+        if not self.local:
+            rows = statistics_by_home(self.spark.table(self.ps)).limit(MOST_PREDICATES + 1).collect()
+            if len(rows) > MOST_PREDICATES:
+                raise ValueError(f"more than {MOST_PREDICATES} statistics of workers")
+            self.local = {h: {} for h in seeds(self.workers)}
+            for r in rows:
+                self.local[r["home"]][r["p"]] = Predicate(r["p"], r["card"], r["n_s"], r["n_o"])
+        return self.local
+
+    def add_order(self, order: str) -> str:
+        """Another copy of the triples, at the home of the first of s, p and o in `order`, and sorted in that order."""
+        if sorted(order) != ["o", "p", "s"]:
+            raise ValueError(f"not an order of s, p and o: {order}")
+        if order not in self.copies:
+            tag = uuid.uuid4().hex[:12]
+            placed = self.spark.table(self.ps).select(home(order[0], self.workers).alias("home"), "s", "p", "o").repartition(self.workers, "home")
+            writer = placed.sortWithinPartitions("home", *order).write.bucketBy(self.workers, "home").sortBy("home", *order)
+            writer.option("path", f"{shared_folder(self.spark)}/order-{order}-{tag}").saveAsTable(f"trellis_{order}_{tag}")
+            self.copies[order] = f"trellis_{order}_{tag}"
+        return self.copies[order]
+
+    def look_up(self, p: Pattern) -> DataFrame:
+        """(s, p, o) of a pattern from the copy whose order begins with most of its constants: one bucket, sorted for it."""
+        given = {slot: t for slot, t in (("s", p.s), ("p", p.p), ("o", p.o)) if isinstance(t, Const)}
+
+        def fit(order: str) -> int:
+            return next((k for k, slot in enumerate(order) if slot not in given), 3)
+
+        best = max(sorted(self.copies), key=fit, default=None)
+        if best is None or not fit(best):
+            return self.scan(p).select("s", "p", "o")
+        rows = self.spark.table(self.copies[best]).where(F.col("home") == self.home_of(given[best[0]]))
+        for slot, t in given.items():
+            rows = rows.where(F.col(slot) == self.value(t))
+        return rows.select("s", "p", "o")
+
     def decode(self, answers: DataFrame) -> DataFrame:
         """Answers with their terms in lexical form: a join with the dictionary for each column."""
         if not self.encoded:
@@ -204,6 +246,7 @@ def refresh(store: Store) -> None:
     store.stats = flag_outliers(store.raw_stats)
     store.total = sum(p.card for p in store.stats.values())
     store.known.clear()
+    store.local.clear()
     store.version += 1
 
 

@@ -98,6 +98,7 @@ ORACLE_SQL = {
     "st_tumbling": _DAILY,
     "st_tumbling_stream": _DAILY,
     "st_sliding": "select d.start, event_type, count(*) as n from events, (select unnest([date_trunc('day', ts) :: timestamp, date_trunc('day', ts) :: timestamp - interval 1 day]) as start, event_id as k from events) as d where event_id = k and ts >= d.start and ts < d.start + interval 2 day group by all",
+    "st_late_stream": "select date_trunc('day', ts) :: timestamp as start, event_type, count(*) as n from events where date_trunc('day', ts) + interval 1 day <= (select max(ts) from events) - interval 1 hour group by all",
     "st_session": "with g as (select user_id, ts, case when ts >= lag(ts) over (partition by user_id order by ts) + interval 6 hour or lag(ts) over (partition by user_id order by ts) is null then 1 else 0 end as new from events), n as (select user_id, ts, sum(new) over (partition by user_id order by ts rows unbounded preceding) as k from g) select user_id, min(ts) as start, max(ts) + interval 6 hour as \"end\", count(*) as n from n group by user_id, k",
     "st_dedup_stream": "select distinct event_id from events",
     "st_static_join_stream": "select event_id, concat('nation/', c_nationkey) as nation from events join customer on user_id = c_custkey",

@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from ..adapt.engine import Engine
-from ..adapt.heatmap import path_of, path_text
+from ..adapt.heatmap import heat_from_log, path_of, path_text
 from ..adapt.tree import build_tree, vertex_scores
 from ..plans.parser import ParseError, parse
 from ..session import shared_folder, ship
@@ -105,7 +105,7 @@ def counted_by_state(paths: DataFrame, idle_ms: int | None = None) -> DataFrame:
 def tree_paths(log: DataFrame, engine: Engine) -> DataFrame:
     """(qid, ts, path, child_const) of every tree edge of the log's queries, under the engine's frozen scores."""
     ship(log.sparkSession)
-    stats, raw, policy = engine.store.stats, engine.store.raw_stats, engine.policy
+    stats, rule, policy = engine.store.stats, engine.rule(), engine.policy
 
     def edges(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for part in parts:
@@ -113,7 +113,7 @@ def tree_paths(log: DataFrame, engine: Engine) -> DataFrame:
             for q, ts, text in part[["qid", "ts", "text"]].itertuples(index=False):
                 try:
                     bgp = parse(text).bgp
-                    tree = build_tree(bgp, vertex_scores(bgp, stats, policy), policy, stats=raw)
+                    tree = build_tree(bgp, vertex_scores(bgp, stats, policy), **rule)
                 except (ParseError, ValueError):
                     continue
                 met = tree.constants()
@@ -123,19 +123,26 @@ def tree_paths(log: DataFrame, engine: Engine) -> DataFrame:
     return log.select("qid", "ts", "text").mapInPandas(edges, "qid long, ts timestamp, path string, child_const string")
 
 
-def monitor(log: DataFrame, engine: Engine) -> Engine:
-    """Feeds a stream of queries to the heat map: counted by path in each batch, then merged, detected and redistributed."""
+def heat_batch(log: DataFrame, engine: Engine) -> list:
+    """(path, cnt, consts, last_used) rows of a batch of queries: a row for each path of their trees."""
+    return heat_from_log(tree_paths(log, engine)).collect()
+
+
+def monitor(log: DataFrame, engine: Engine, name: str = "log", checkpoint: str | None = None) -> Engine:
+    """Feeds a stream of queries to the heat map: counted by path in each batch, then merged, detected and redistributed.
+
+    The heat map remembers the batches that it holds, by the stream's name, so a batch that is
+    delivered again counts once.
+    """
 
     def merge(batch: DataFrame, number: int) -> None:
-        once = tree_paths(batch, engine).groupBy("path", "child_const").agg(F.count_distinct("qid").alias("n"))
-        totals = tree_paths(batch, engine).groupBy("path").agg(F.count_distinct("qid").alias("n"))
-        for r in totals.collect():  # a row for each path of the trees
-            engine.heat.at(path_of(r["path"]), make=True).count += r["n"]
-        for r in once.where("child_const is not null").collect():
-            engine.heat.at(path_of(r["path"]), make=True).constants.update({r["child_const"]: r["n"]})
+        if (name, number) in engine.heat.batches:
+            return
+        rows = heat_batch(batch, engine)
+        engine.heat.merge(((path_of(r["path"]), r["cnt"], r["consts"] or {}) for r in rows), (name, number))
         engine.adapt()
 
-    at = f"{shared_folder(log.sparkSession)}/monitor-{uuid.uuid4().hex}"
+    at = checkpoint or f"{shared_folder(log.sparkSession)}/monitor-{uuid.uuid4().hex}"
     log.writeStream.foreachBatch(merge).option("checkpointLocation", at).trigger(availableNow=True).start().awaitTermination()
     return engine
 

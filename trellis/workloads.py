@@ -4,8 +4,9 @@ from __future__ import annotations
 
 import random
 from dataclasses import dataclass
+from itertools import combinations
 
-from .plans.patterns import BGP, Const, Var
+from .plans.patterns import BGP, Const, Pattern, Var, components, query_text
 from .sources.vocab import predicate_sql, triples_sql
 
 # Patterns by name; blank-separated terms, ` . ` between patterns.
@@ -110,6 +111,14 @@ class Slots:
     suppliers: int = 10
     parts: int = 200
 
+    @classmethod
+    def of(cls, store) -> Slots:
+        """The sizes of a store's tables: as many subjects as their class has."""
+        classes = {"nations": "Nation", "regions": "Region", "customers": "Customer", "suppliers": "Supplier", "parts": "Part"}
+        patterns = {k: Pattern(Var("s"), Const("type"), Const(f"class/{c}")) for k, c in classes.items()}
+        store.refine_all(patterns.values())
+        return cls(**{k: max(1, store.knowledge(p).card) for k, p in patterns.items()})
+
     def other(self, value: str, rng: random.Random) -> str:
         sizes = {"nation": self.nations, "region": self.regions, "customer": self.customers, "supplier": self.suppliers, "part": self.parts}
         head, slash, _ = value.partition("/")
@@ -130,24 +139,55 @@ def varied(bgp: BGP, rng: random.Random, slots: Slots) -> BGP:
     return BGP(tuple(type(p)(swap.get(p.s, p.s), p.p, swap.get(p.o, p.o)) for p in bgp))
 
 
-def mutated(bgp: BGP, rng: random.Random) -> BGP:
-    """Another structure of the same template: a class pattern left out, or another class in its place."""
-    kept = list(bgp.patterns)
-    classes = [k for k, p in enumerate(kept) if p.p == Const("type")]
-    if classes and rng.random() < 0.7:
-        kept.pop(rng.choice(classes))
-    return BGP(tuple(kept)) if len(kept) > 1 else bgp
+#: Classes that stand in for each other when the type of a node is mutated.
+TWINS = {"class/Customer": "class/Supplier", "class/Supplier": "class/Customer", "class/Part": "class/Order", "class/Order": "class/Part"}
+
 
+def structures(bgp: BGP) -> list[BGP]:
+    """Other structures of a template: connected parts of two patterns or more, and other types of its nodes; the whole first."""
+    out: dict[str, BGP] = {}
+    typed = [k for k, p in enumerate(bgp) if p.p == Const("type") and isinstance(p.o, Const) and p.o.value in TWINS]
+    for left in range(len(bgp) - 1):
+        for gone in combinations(range(len(bgp)), left):
+            kept = [k for k in range(len(bgp)) if k not in gone]
+            if len(components(BGP(tuple(bgp.patterns[k] for k in kept)))) > 1:
+                continue
+            here = [k for k in typed if k in kept]
+            for n in range(len(here) + 1):
+                for swap in combinations(here, n):
+                    new = BGP(tuple(Pattern(p.s, p.p, Const(TWINS[p.o.value])) if k in swap else p for k, p in enumerate(bgp.patterns) if k in kept))
+                    out.setdefault(query_text(new), new)
+    return list(out.values())
 
-# How many of the pool's queries come from each of the fourteen templates.
+
+# How many patterns the pool has of each of the fourteen templates; two of them vary in structure.
 POOL = dict(zip([f"uni_q{k:02d}" for k in range(1, 15)], (1000, 18, 1000, 1000, 1000, 1, 1000, 1000, 30, 1000, 1000, 1000, 1000, 1), strict=True))
 
 
+def uni_pool(slots: Slots | None = None, seed: int = 7) -> list[tuple[str, BGP]]:
+    """The pool: distinct patterns of every template, as many as POOL says, or as the data have constants for."""
+    rng, slots, out = random.Random(seed), slots or Slots(), []
+    for name, n in POOL.items():
+        bgp = template(name)
+        if not any(isinstance(t, Const) and not t.value.startswith("class/") for p in bgp for t in (p.s, p.o)):
+            out += [(name, b) for b in (structures(bgp) or [bgp])[:n]]
+            continue
+        seen = {query_text(bgp): bgp}
+        for _ in range(8 * n):
+            if len(seen) == n:
+                break
+            new = varied(bgp, rng, slots)
+            seen.setdefault(query_text(new), new)
+        out += [(name, b) for b in seen.values()]
+    return out
+
+
 def uni_workload(n: int, seed: int = 7, slots: Slots | None = None) -> list[tuple[str, BGP]]:
-    """n queries in the pool's proportions, with constants, or for two of them structures, varied."""
-    rng, slots = random.Random(seed), slots or Slots()
-    names = rng.choices(list(POOL), weights=list(POOL.values()), k=n)
-    return [(x, mutated(template(x), rng) if x in ("uni_q02", "uni_q09") else varied(template(x), rng, slots)) for x in names]
+    """n queries of the pool, drawn so that each template has its share of patterns."""
+    rng, by = random.Random(seed), {}
+    for name, bgp in uni_pool(slots, seed):
+        by.setdefault(name, []).append(bgp)
+    return [(x, rng.choice(by[x])) for x in rng.choices(list(POOL), weights=list(POOL.values()), k=n)]
 
 
 def div_workload(n: int, families: str = "LSFC", seed: int = 7, mixed: bool = True, slots: Slots | None = None) -> list[tuple[str, BGP]]:
@@ -164,10 +204,6 @@ def div_workload(n: int, families: str = "LSFC", seed: int = 7, mixed: bool = Tr
 TRAINING = ("CF", "CL", "CS", "FL", "FS", "LS")
 
 
-def query_text(bgp: BGP) -> str:
-    return "SELECT * WHERE { " + " . ".join(map(str, bgp)) + " }"
-
-
 def shape_of(bgp: BGP) -> str:
     """star, linear, cyclic or tree: by the variables' graph."""
     subjects = {p.s for p in bgp}
