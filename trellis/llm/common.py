@@ -7,7 +7,6 @@ selecting the input columns an operator needs under private names before anythin
 from __future__ import annotations
 
 import math
-import tempfile
 import uuid
 from collections.abc import Callable, Iterator
 
@@ -17,7 +16,7 @@ from pyspark.errors import AnalysisException
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from ..session import ship
+from ..session import checkpointed, shared_folder, ship
 
 #: Rows that a Python operator holds decoded at once; texts are whole, so this bounds memory by rows.
 ROWS_AT_ONCE = 256
@@ -40,23 +39,6 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def shared_folder(spark: SparkSession) -> str:
-    """The session's checkpoint folder, which driver and executors share; a private one only in local mode."""
-    sc = spark.sparkContext
-    if not sc.getCheckpointDir():
-        shared = sc.getConf().get("spark.checkpoint.dir")
-        if not shared and not sc.master.startswith("local"):
-            raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
-        sc.setCheckpointDir(shared or tempfile.mkdtemp(prefix="trellis-checkpoint-"))
-    return sc.getCheckpointDir()
-
-
-def checkpointed(df: DataFrame) -> DataFrame:
-    """Cut lineage into the shared folder."""
-    shared_folder(df.sparkSession)
-    return df.checkpoint(eager=True)
-
-
 def written(df: DataFrame) -> DataFrame:
     """The rows as a table in the shared folder: made once, compressed, and read by column."""
     path = f"{shared_folder(df.sparkSession)}/table-{uuid.uuid4().hex}"
@@ -210,18 +192,16 @@ def components(edges: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
 HOT = 1024
 
 
-def spread_join(rows: DataFrame, one: DataFrame, key: str) -> DataFrame:
+def spread_join(rows: DataFrame, one: DataFrame, key: str, counts: DataFrame | None = None) -> DataFrame:
     """Inner join with a table that has one row for each key, however many rows share a key.
 
     Rows of hot keys stay where they are and meet the fewer than `HOT` rows of `one` for them, which
-    are broadcast; all others meet by the key's hash.
+    are broadcast; all others meet by the key's hash. `counts`: (key, n) of the rows, if known.
     """
-    counts = rows.groupBy(key).agg(F.count("*").alias("__n"))
-    total = rows.count()
-    hot = counts.where(F.col("__n") > total / HOT).select(key)
-    hot = checkpointed(one.join(F.broadcast(hot), key))
-    few = hot.select(key)
-    cold = rows.join(F.broadcast(few), key, "left_anti").join(one, key)
+    counts = written(rows.groupBy(key).agg(F.count("*").alias("n")).where("n > 1") if counts is None else counts.select(key, "n"))
+    total = counts.agg(F.sum("n")).first()[0] or 0
+    hot = written(one.join(F.broadcast(counts.where(F.col("n") > total / HOT).select(key)), key))
+    cold = rows.join(F.broadcast(hot.select(key)), key, "left_anti").join(one, key)
     return rows.join(F.broadcast(hot), key).unionByName(cold)
 
 
