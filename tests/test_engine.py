@@ -267,7 +267,7 @@ def test_unconnected_patterns_are_refused(spark, sf):
             baselines.answer(store, kind, bgp)
 
 
-ORACLES = ["uni_q01", "uni_q02", "uni_q07", "uni_l3", "div_l4", "div_s7", "div_f1", "div_c1", "enc_y2", "lif_b1", "statistics", "op_join_asof", "op_path_closure", "op_udaf_majority", "baseline_khop", "baseline_summary", "st_session", "st_late_stream", "op_agg_approx", "op_sample", "op_fn_hash", "op_udtf_edges", "placement_invariants", "index_orders", "literal_core_uni_q02"]
+ORACLES = ["uni_q01", "uni_q02", "uni_q07", "uni_l3", "div_l4", "div_s7", "div_f1", "div_c1", "enc_y2", "lif_b1", "statistics", "op_join_asof", "op_path_closure", "op_udaf_majority", "baseline_khop", "baseline_summary", "baseline_min_cut", "baseline_khop_undirected", "st_session", "st_late_stream", "op_agg_approx", "op_sample", "op_fn_hash", "op_udtf_edges", "placement_invariants", "index_orders", "literal_core_uni_q02"]
 
 
 @pytest.mark.parametrize("name", ORACLES)

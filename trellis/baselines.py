@@ -5,8 +5,9 @@ from __future__ import annotations
 import math
 import uuid
 from collections.abc import Callable
+from functools import reduce
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .operators.evaluate import Options, Traffic, connected, distributed, local_join, plain, plain_of
@@ -159,6 +160,37 @@ def edge_cut(triples: DataFrame, label: DataFrame) -> DataFrame:
     return ends.agg(F.count("*").alias("edges"), F.count_if(F.col("a") != F.col("b")).alias("cut")).withColumn("ratio", F.col("cut") / F.col("edges"))
 
 
+def cut_edges_replicated(triples: DataFrame, label: DataFrame) -> DataFrame:
+    """(home, s, p, o, of_s, of_o): every triple at the parts of both its ends, so that a vertex has all its edges in its part."""
+    part = lambda end, name: label.select(F.col("v").alias(end), F.col("part").alias(name))
+    ends = triples.join(part("s", "of_s"), "s", "left").join(part("o", "of_o"), "o", "left")
+    # a vertex that only meets itself has no part of its own
+    ends = ends.withColumns({"of_s": F.coalesce("of_s", F.lit(0)), "of_o": F.coalesce("of_o", F.lit(0))})
+    return ends.select(F.explode(F.array_distinct(F.array("of_s", "of_o"))).alias("home"), "s", "p", "o", "of_s", "of_o")
+
+
+def min_cut_answer(store: Store, replicated: DataFrame, bgp: BGP) -> tuple[DataFrame, str]:
+    """Parallel where one vertex touches all patterns, at the part of its binding; else by merge joins over all triples."""
+    centre = next((t for t in dict.fromkeys(t for p in bgp for t in (p.s, p.o)) if all(t in (p.s, p.o) for p in bgp)), None)
+    if centre is None:
+        return plain_of(store, bgp), "distributed"
+    connected(bgp)
+
+    def at_home(p: Pattern) -> DataFrame:
+        rows = replicated.where(F.col("home") == F.col("of_s" if p.s == centre else "of_o"))
+        columns: dict[str, Column] = {}
+        for slot, t in (("s", p.s), ("p", p.p), ("o", p.o)):
+            if isinstance(t, Const):
+                rows = rows.where(F.col(slot) == t.value)
+            elif t.name in columns:
+                rows = rows.where(F.col(slot) == F.col(columns[t.name]))
+            else:
+                columns[t.name] = slot
+        return rows.select("home", *[F.col(slot).alias(v) for v, slot in columns.items()])
+
+    return reduce(local_join, [at_home(p) for p in bgp]).drop("home"), "parallel"
+
+
 def summary_graph(triples: DataFrame, label: DataFrame) -> DataFrame:
     """(a, p, b): which parts a predicate connects."""
     return triples.join(label.select(F.col("v").alias("s"), F.col("part").alias("a")), "s").join(label.select(F.col("v").alias("o"), F.col("part").alias("b")), "o").select("a", "p", "b").distinct()
@@ -237,6 +269,8 @@ def prepared(store: Store, kind: str) -> DataFrame:
         triples = triples_of(store)
         if kind == "summary":
             _PREPARED[key] = min_cut(triples, store.workers)
+        elif kind == "min_cut":
+            _PREPARED[key] = _written(cut_edges_replicated(triples, prepared(store, "summary")).repartition(store.workers, "home"))
         else:
             placed = khop(triples, 2, store.workers, "undirected" if kind == "khop_undirected" else "forward", prefix=kind == "khop_prefix")
             _PREPARED[key] = _written(placed.repartition(store.workers, "home").sortWithinPartitions("home", "p", "s"))
@@ -244,7 +278,7 @@ def prepared(store: Store, kind: str) -> DataFrame:
 
 
 #: The systems that `answer` knows.
-KINDS = ("batch_random", "batch_range", "khop", "khop_undirected", "khop_prefix", "summary", "merge", "explore", "central", "broadcast_all")
+KINDS = ("batch_random", "batch_range", "khop", "khop_undirected", "khop_prefix", "min_cut", "summary", "merge", "explore", "central", "broadcast_all")
 
 
 def answer(store: Store, kind: str, bgp: BGP) -> DataFrame:
@@ -256,6 +290,8 @@ def answer(store: Store, kind: str, bgp: BGP) -> DataFrame:
         return batch_range(triples, bgp, store.workers)
     if kind.startswith("khop"):
         return khop_answer(store, prepared(store, kind), bgp, 2, store.workers, forward=kind != "khop_undirected", prefix=kind == "khop_prefix")[0]
+    if kind == "min_cut":
+        return min_cut_answer(store, prepared(store, kind), bgp)[0]
     if kind == "summary":
         return pruned_by_summary(triples, prepared(store, kind), bgp)
     if kind == "central":

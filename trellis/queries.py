@@ -64,7 +64,7 @@ def baseline(kind: str, name: str, spark: SparkSession, sf_dir: str) -> DataFram
     return summed(baselines.answer(store_of(spark, sf_dir, WORKERS), kind, template(name)), name)
 
 
-BASELINES = {"batch_random": "uni_q02", "batch_range": "uni_q02", "khop": "uni_q08", "khop_undirected": "uni_q11", "khop_prefix": "uni_q08", "summary": "uni_q11", "merge": "uni_q02", "explore": "uni_q02", "central": "uni_q11", "broadcast_all": "uni_q02"}
+BASELINES = {"batch_random": "uni_q02", "batch_range": "uni_q02", "khop": "uni_q08", "khop_undirected": "uni_q11", "khop_prefix": "uni_q08", "min_cut": "uni_q12", "summary": "uni_q11", "merge": "uni_q02", "explore": "uni_q02", "central": "uni_q11", "broadcast_all": "uni_q02"}
 
 
 def triples_by_predicate(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -231,7 +231,8 @@ def build(spark: SparkSession, triples: DataFrame, workers: int, encoded: bool =
     names = {}
     for copy, order in (("ps", ("s", "o")), ("po", ("o", "s"))):
         names[copy] = f"trellis_{copy}_{tag}"
-        source = placed if copy == "ps" else spark.table(names["ps"]).select("home", "s", "o", "p").repartition(workers, "home")
+        # the first copy's buckets are the workers already: the second is only sorted anew
+        source = placed if copy == "ps" else spark.table(names["ps"]).select("home", "s", "o", "p")
         writer = source.sortWithinPartitions("p", "home", *order).write.partitionBy("p").bucketBy(workers, "home").sortBy(*order)
         writer.option("path", f"{folder}/{copy}").option("parquet.bloom.filter.enabled#o", str(copy == "po").lower()).saveAsTable(names[copy])
     store = Store(spark, workers, names["ps"], names["po"], encoded, dictionary)
