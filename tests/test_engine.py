@@ -189,6 +189,20 @@ def test_each_worker_has_its_own_order(spark, sf):
     assert exchanges(out) == 0 and same(out.drop("home"), plain_of(store, bgp))
 
 
+def test_rare_predicates_share_folders(spark):
+    rows = [(f"s{k % 40}", f"p{k % 30}", f"o{k % 7}") for k in range(600)] + [("s1", "often", f"o{k}") for k in range(50)]
+    triples = spark.createDataFrame(rows, "s string, p string, o string").distinct()
+    whole, few = build(spark, triples, 3), build(spark, triples, 3, folders=2)
+    count = lambda store: spark.table(store.ps).select("folder").distinct().count()
+    assert whole.frequent is None and count(whole) == 31 and len(few.frequent) == 2 and "often" in few.frequent and count(few) < 31
+    for p in ("often", "p3", "p29"):
+        bgp = BGP.parse(f"?x {p} ?y . ?x p4 ?z")
+        assert same(distributed(few, bgp).drop("home"), plain_of(whole, bgp))
+        scan = few.scan(Pattern(Var("s"), BGP.parse(f"?x {p} ?y").patterns[0].p, Var("o")))
+        assert "PartitionFilters: [isnotnull(folder" in scan._jdf.queryExecution().executedPlan().toString()
+    assert whole.raw_stats == few.raw_stats
+
+
 def test_other_index_orders(spark, sf):
     from trellis.plans.patterns import Const
 

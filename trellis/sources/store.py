@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import threading
 import uuid
+from collections.abc import Iterable
 from dataclasses import dataclass, field
 from functools import lru_cache
 
@@ -102,8 +103,12 @@ class Store:
     known: dict[Pattern, Predicate] = field(default_factory=dict)
     local: dict[int, dict[str, Predicate]] = field(default_factory=dict)
     copies: dict[str, str] = field(default_factory=dict)  # other index orders: permutation of spo to table
+    frequent: frozenset[str] | None = None  # predicates with a folder of their own; None: all
     version: int = 0
 
+    def folder(self, predicate: str) -> Column:
+        return F.lit(predicate) if self.frequent is None or predicate in self.frequent else bundle(F.lit(predicate))
+
     def value(self, c: Const) -> Column:
         return F.xxhash64(F.lit(c.value)) if self.encoded else F.lit(c.value)
 
@@ -112,11 +117,11 @@ class Store:
         return one.first()["h"]
 
     def scan(self, p: Pattern, names: tuple[str, str, str] = ("s", "p", "o")) -> DataFrame:
-        """(home, s, p, o) of one pattern: partition of its predicate, bucket of its subject, row groups of its object."""
+        """(home, s, p, o) of one pattern: folder of its predicate, bucket of its subject, row groups of its object."""
         table = self.po if isinstance(p.o, Const) and not isinstance(p.s, Const) else self.ps
         rows = self.spark.table(table)
         if isinstance(p.p, Const):
-            rows = rows.where(F.col("p") == p.p.value)
+            rows = rows.where((F.col("folder") == self.folder(p.p.value)) & (F.col("p") == p.p.value))
         if isinstance(p.s, Const):
             rows = rows.where((F.col("home") == self.home_of(p.s)) & (F.col("s") == self.value(p.s)))
         if isinstance(p.o, Const):
@@ -216,8 +221,31 @@ class Store:
         return answers
 
 
-def build(spark: SparkSession, triples: DataFrame, workers: int, encoded: bool = False, statistics: bool = True) -> Store:
-    """Places triples by subject hash and writes both copies into the shared folder: one shuffle each."""
+#: Predicates that have a folder of their own, and folders that all others share.
+MOST_FOLDERS, BUNDLES = 256, 64
+
+
+def bundle(p: Column) -> Column:
+    """The folder that a rare predicate shares."""
+    return F.concat(F.lit("~"), F.pmod(F.hash(p), F.lit(BUNDLES)).cast("string"))
+
+
+def frequent_predicates(triples: DataFrame, known: Iterable[str] | None, most: int = MOST_FOLDERS) -> frozenset[str] | None:
+    """The predicates that get folders of their own: all if they are few, else those of most triples.
+
+    Folders are few and files in them large, however many rare predicates there are.
+    """
+    if known is not None and len(names := frozenset(known)) <= most:
+        return None
+    top = triples.groupBy("p").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "p").limit(most + 1).collect()
+    return None if len(top) <= most else frozenset(r["p"] for r in top[:most])
+
+
+def build(spark: SparkSession, triples: DataFrame, workers: int, encoded: bool = False, statistics: bool = True, predicates: Iterable[str] | None = None, folders: int = MOST_FOLDERS) -> Store:
+    """Places triples by subject hash and writes both copies into the shared folder: one shuffle in all.
+
+    `predicates`: the vocabulary, if known; else a small one is told from a large one by counting.
+    """
     prepare(spark)
     tag = uuid.uuid4().hex[:12]
     folder = f"{shared_folder(spark)}/store-{tag}"
@@ -227,15 +255,17 @@ def build(spark: SparkSession, triples: DataFrame, workers: int, encoded: bool =
         build_dictionary(triples).write.option("path", f"{folder}/dictionary").saveAsTable(dictionary)
         clashes = collisions(spark.table(dictionary))
         triples = encode(triples, None if clashes.isEmpty() else clashes)
-    placed = triples.select(home("s", workers).alias("home"), "s", "o", "p").repartition(workers, "home")
+    own = frequent_predicates(triples, predicates, folders)
+    folder_of = F.col("p") if own is None else F.when(F.col("p").isin(*sorted(own)), F.col("p")).otherwise(bundle(F.col("p")))
+    placed = triples.select(home("s", workers).alias("home"), "s", "o", "p", folder_of.alias("folder")).repartition(workers, "home")
     names = {}
     for copy, order in (("ps", ("s", "o")), ("po", ("o", "s"))):
         names[copy] = f"trellis_{copy}_{tag}"
         # the first copy's buckets are the workers already: the second is only sorted anew
-        source = placed if copy == "ps" else spark.table(names["ps"]).select("home", "s", "o", "p")
-        writer = source.sortWithinPartitions("p", "home", *order).write.partitionBy("p").bucketBy(workers, "home").sortBy(*order)
+        source = placed if copy == "ps" else spark.table(names["ps"]).select("home", "s", "o", "p", "folder")
+        writer = source.sortWithinPartitions("folder", "home", "p", *order).write.partitionBy("folder").bucketBy(workers, "home").sortBy("p", *order)
         writer.option("path", f"{folder}/{copy}").option("parquet.bloom.filter.enabled#o", str(copy == "po").lower()).saveAsTable(names[copy])
-    store = Store(spark, workers, names["ps"], names["po"], encoded, dictionary)
+    store = Store(spark, workers, names["ps"], names["po"], encoded, dictionary, frequent=own)
     if statistics:
         refresh(store)
     return store
@@ -261,6 +291,6 @@ def store_of(spark: SparkSession, sf_dir: str, workers: int = 8, encoded: bool =
     prepare(spark)
     with _LOCK:
         if key not in _BUILT:
-            _BUILT[key] = build(spark, triples_from_tables(spark, sf_dir, CORE).select("s", "p", "o"), workers, encoded)
+            _BUILT[key] = build(spark, triples_from_tables(spark, sf_dir, CORE).select("s", "p", "o"), workers, encoded, predicates=CORE)
     return _BUILT[key]
 
