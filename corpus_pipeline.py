@@ -18,7 +18,11 @@ def toxicity_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
 
 
 def near_dedup_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keeps one document, of the least doc_id, of each class of near-duplicates (5 words, 0.8)."""
+    """Keeps one document, of the least doc_id, of each class of near-duplicates (5 words, 0.8).
+
+    Candidates meet in the fingerprints' ball and, as that finds few pairs of this similarity, in an
+    exact prefix join of shingle sets, which does most of the work.
+    """
     return simhash.without_near_duplicates(docs)
 
 

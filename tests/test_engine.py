@@ -172,6 +172,13 @@ def test_steps_are_not_computed_again(spark, sf, name):
     assert same(out.drop("home"), plain_of(store, bgp))
 
 
+def test_keys_are_sent_once_for_several_patterns(spark, sf):
+    store, bgp = store_of(spark, sf), template("uni_q02")
+    once, each = Traffic(), Traffic()
+    a, b = distributed(store, bgp, Options(), once), distributed(store, bgp, Options(fuse=False), each)
+    assert same(a, b) and len(once.steps) < len(each.steps) and once.total <= each.total
+
+
 def test_each_worker_has_its_own_order(spark, sf):
     from trellis.adapt.redistribute import parallel_by_worker
     from trellis.operators.evaluate import star_by_worker

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import weakref
+from collections import deque
 from collections.abc import Callable
 from dataclasses import dataclass, field
 from functools import reduce
@@ -46,6 +47,7 @@ class Options:
     prune: bool = True
     seed: str = "max_out"
     reduce: bool = True  # semi-joins; else candidates are whole predicates
+    fuse: bool = True  # keys that go to the same homes for several patterns in a row are sent once
 
 
 def on_shared(left: DataFrame, right: DataFrame, names: list[str], how: str = "inner") -> DataFrame:
@@ -63,14 +65,16 @@ def keys_of(left: DataFrame, column: str) -> DataFrame:
     return left.select(F.col("home").alias("origin"), F.col(column).alias("__key")).distinct()
 
 
-def semi_join(store: Store, left: DataFrame, p: Pattern, column: str, route: str, most: int | None, options: Options, traffic: Traffic | None = None) -> DataFrame:
+def semi_join(store: Store, left: DataFrame, patterns: tuple[Pattern, ...], column: str, route: str, most: int | None, options: Options, traffic: Traffic | None = None) -> DataFrame:
     """Joins a pattern by sending keys out and candidates back; `left` itself doesn't move.
 
+    Several patterns, of which the key is the subject, are joined at its home before they answer.
+
     hash: a key goes to the home of the subject it is. broadcast: a key goes to all homes, if the
     bound on the number of keys, from exact statistics, allows; else keys and the predicate meet
     by the column's hash, which returns the same candidates.
     """
-    right = store.answer(p)
+    right = reduce(local_join, [store.answer(p) for p in patterns])
     keys = keys_of(left, column)
     if route == "hash":
         sent = keys.withColumn("home", home("__key", store.workers))
@@ -82,14 +86,14 @@ def semi_join(store: Store, left: DataFrame, p: Pattern, column: str, route: str
         met = right.withColumnRenamed("home", "at").join(keys, F.col(column) == F.col("__key"))
         candidates = met.select("origin", "at", *[c for c in right.columns if c != "home"])
     if traffic is not None:
-        meter(store, keys, candidates, p, column, route, traffic)
+        meter(store, keys, candidates, patterns, column, route, traffic)
     back = candidates.drop("at").withColumnRenamed("origin", "home")
     return on_shared(left, back, [c for c in left.columns if c in back.columns and c != "home"])
 
 
-def meter(store: Store, keys: DataFrame, candidates: DataFrame, p: Pattern, column: str, route: str, traffic: Traffic) -> None:
+def meter(store: Store, keys: DataFrame, candidates: DataFrame, patterns: tuple[Pattern, ...], column: str, route: str, traffic: Traffic) -> None:
     """Keys sent to another home and values of candidates that come back from one; what stays costs nothing."""
-    width = len(p.variables)
+    width = len({v for p in patterns for v in p.variables})
     if route == "hash":
         sent = keys.where(home("__key", store.workers) != F.col("origin")).count()
     else:
@@ -97,7 +101,7 @@ def meter(store: Store, keys: DataFrame, candidates: DataFrame, p: Pattern, colu
     returned = candidates.where("origin != at").count() * width
     traffic.keys += sent
     traffic.values += returned
-    traffic.steps.append((str(p), route, sent, returned))
+    traffic.steps.append((" . ".join(map(str, patterns)), route, sent, returned))
 
 
 def bound_of(done: list[tuple[Pattern, object]], column: str) -> int | None:
@@ -106,14 +110,28 @@ def bound_of(done: list[tuple[Pattern, object]], column: str) -> int | None:
     return min(bounds, default=None)
 
 
+def fused(plan: Plan, options: Options) -> list[tuple[tuple[Pattern, ...], Case | None, str | None]]:
+    """The plan's steps; patterns in a row that hash-routed keys of one column ask for are one step."""
+    out: list[tuple[tuple[Pattern, ...], Case | None, str | None]] = []
+    for p, case, column in plan.steps:
+        if options.fuse and out and case is Case.HASH and out[-1][1:] == (case, column):
+            out[-1] = ((*out[-1][0], p), case, column)
+        else:
+            out.append(((p,), case, column))
+    return out
+
+
 def execute(store: Store, plan: Plan, options: Options | None = None, traffic: Traffic | None = None, known: Knowledge | None = None) -> DataFrame:
     """(home, variables) of a connected pattern, joined in the plan's order."""
     options, known = options or Options(), known or store.knowledge
+    give_back()
     out: DataFrame | None = None
     done: list[tuple[Pattern, object]] = []
     kept: list[DataFrame] = []
     moved = False  # a semi-join is in `out`: it is kept before the next, which reads it twice
-    for k, (p, case, column) in enumerate(plan.steps):
+    cut = CUT_AFTER
+    for together, case, column in fused(plan, options):
+        p = together[0]
         if out is None:
             out = store.answer(p)
         elif case is Case.LOCAL:
@@ -122,19 +140,30 @@ def execute(store: Store, plan: Plan, options: Options | None = None, traffic: T
             if moved:
                 out = out.persist(StorageLevel.DISK_ONLY)
                 kept.append(out)
-            out = semi_join(store, out, p, column, "hash" if case is Case.HASH else "broadcast", bound_of(done, column), options, traffic)
+            out = semi_join(store, out, together, column, "hash" if case is Case.HASH else "broadcast", bound_of(done, column), options, traffic)
             moved = True
-        done.append((p, known(p)))
-        if k and k % CUT_AFTER == 0:
+        done += [(q, known(q)) for q in together]
+        if len(done) > cut:
+            cut += CUT_AFTER
             out = checkpointed(out).repartition(store.workers, "home")
             moved = False
     return with_kept(out, kept)
 
 
+#: Steps of answers that were let go; a finalizer may run in the middle of a call to the JVM, so blocks are given back later.
+_LET_GO: deque[DataFrame] = deque()
+
+
+def give_back() -> None:
+    """Frees the blocks of steps that no answer needs any more."""
+    while _LET_GO:
+        _LET_GO.popleft().unpersist()
+
+
 def with_kept(out: DataFrame, kept: list[DataFrame]) -> DataFrame:
-    """An answer that gives its steps' blocks back when it is let go; whatever is derived from it then recomputes them."""
+    """An answer whose steps' blocks are freed, with the next query, once it is let go; what is derived from it then recomputes them."""
     for step in kept:
-        weakref.finalize(out, step.unpersist).atexit = False
+        weakref.finalize(out, _LET_GO.append, step).atexit = False
     return out
 
 
