@@ -23,6 +23,7 @@ from __future__ import annotations
 
 import hashlib
 import heapq
+import math
 import struct
 import zlib
 from dataclasses import dataclass, field
@@ -87,6 +88,10 @@ def code_lengths(counts: list[int], most: int = 15) -> list[int]:
         floor = floor * 2 + max(counts) // (1 << most)
 
 
+#: Numbers of 15 bits, their bits reversed.
+REVERSED = [int(f"{k:015b}"[::-1], 2) for k in range(1 << 15)]
+
+
 def canonical(lengths: list[int]) -> list[int]:
     """Codes of the lengths, their bits reversed as the stream has them."""
     top = max(lengths, default=0)
@@ -100,7 +105,7 @@ def canonical(lengths: list[int]) -> list[int]:
     out = [0] * len(lengths)
     for k, n in enumerate(lengths):
         if n:
-            out[k] = int(f"{first[n]:0{n}b}"[::-1], 2)
+            out[k] = REVERSED[first[n]] >> (15 - n)
             first[n] += 1
     return out
 
@@ -120,9 +125,11 @@ class Code:
             if sum(1 << (self.bits - n) for n in lengths if n) != 1 << self.bits:
                 raise ValueError("not a complete prefix code")
             self.size, self.symbol = np.zeros(1 << self.bits, np.uint8), np.zeros(1 << self.bits, np.int32)
-            for k, (n, c) in enumerate(zip(lengths, canonical(lengths), strict=True)):
-                if n:
-                    self.size[c :: 1 << n], self.symbol[c :: 1 << n] = n, k
+            codes = canonical(lengths)
+            for k in used:
+                n, c = lengths[k], codes[k]
+                self.size[c :: 1 << n] = n
+                self.symbol[c :: 1 << n] = k
             self.table: list[tuple[int, int]] | None = None
 
     def read(self, bits: Bits) -> int:
@@ -742,11 +749,13 @@ def encode_grey(samples: np.ndarray) -> bytes:
         write_pixels(w, merged(*(np.diff(c, prepend=0) for c in channels(np.uint32(BLACK) | grey << np.uint32(16) | grey << np.uint32(8) | grey)))[None], False, Options())
     else:
         w.put(1 | SUBTRACT_GREEN << 1, 3)
-        signed = samples.astype(np.int64)
-        ways = [signed, *(one_way(signed, mode, -1, False) & 255 for mode in (1, 2))]
-        cost = [entropy_bits(x) for x in ways]
+        signed, ways = samples.astype(np.int16), [samples]
+        for mode in (1, 2):  # differences are looked at where most of them are small
+            step = np.diff(signed, axis=2 - mode)
+            ways.append(one_way(samples.astype(np.int64), mode, -1, False).astype(np.uint8) if 2 * np.count_nonzero(np.abs(step) <= 8) > step.size else None)
+        cost = [entropy_bits(x) if x is not None else math.inf for x in (ways if any(x is not None for x in ways[1:]) else (None, None, None))]
         mode = min(range(3), key=lambda k: (cost[k] + 60 * (k > 0), k))
-        green = ways[mode].astype(np.uint8)
+        green = ways[mode]
         if mode:
             size = 9  # the largest blocks
             w.put(1 | PREDICTOR << 1, 3)
