@@ -300,15 +300,36 @@ def one_channel(bits: Bits, code: Code, far: Code, total: int, width: int) -> np
     raw = np.frombuffer(bits.data, np.uint8, len(bits.data) - begin, begin).astype(np.uint32)
     word = raw[:-2] | raw[1:-1] << np.uint32(8) | raw[2:] << np.uint32(16)
     window = ((word[:, None] >> np.arange(8, dtype=np.uint32)) & np.uint32((1 << code.bits) - 1)).ravel()
-    step = np.where(code.symbol < LITERALS, code.size, 0).astype(np.uint8)[window].tobytes()
-    at, where, copies, n = bits.at & 7, [], [], 0
-    add, end = where.append, len(step)
+    one = np.where(code.symbol < LITERALS, code.size, 0).astype(np.uint8)[window]
+    # bits of one, two and four literals in a row; 0 where there are fewer
+    one = np.concatenate([one, np.zeros(64, np.uint8)])
+    here = np.arange(len(one) - 64)
+    two = one[:-64] + (second := one[here + one[:-64]])
+    two = np.concatenate([np.where((one[:-64] > 0) & (second > 0), two, 0).astype(np.uint8), np.zeros(64, np.uint8)])
+    four = two[:-64] + (later := two[here + two[:-64]])
+    four = np.where((two[:-64] > 0) & (later > 0), four, 0).astype(np.uint8).tobytes()
+    step, end = one.tobytes(), len(four)
+    at, parts, read, copies, n = bits.at & 7, [], 0, [], 0
     while n < total:  # where each symbol begins follows from the one before
+        run: list[int] = []
+        add, most = run.append, (total - n) // 4
+        while len(run) < most and at < end and (size := four[at]):
+            add(at)
+            at += size
+        if run:
+            first = np.array(run, np.int64)
+            third = first + two[first]
+            parts.append(np.stack([first, first + one[first], third, third + one[third]], axis=1).ravel())
+            read += 4 * len(run)
+            n += 4 * len(run)
+            if n == total:
+                break
         if at >= end:
             raise ValueError("the stream ends early")
         if size := step[at]:
-            add(at)
+            parts.append(np.array([at]))
             at += size
+            read += 1
             n += 1
             continue
         key = int(window[at])
@@ -318,10 +339,10 @@ def one_channel(bits: Bits, code: Code, far: Code, total: int, width: int) -> np
         at = bits.at - begin * 8
         if back > n or n + length > total:
             raise ValueError("a back-reference leaves the image")
-        copies.append((len(where), n, length, back))
+        copies.append((read, n, length, back))
         n += length
     bits.at = begin * 8 + at
-    symbols = code.symbol[window[where]].astype(np.uint8)
+    symbols = code.symbol[window[np.concatenate(parts)]].astype(np.uint8) if parts else np.zeros(0, np.uint8)
     if not copies:
         return symbols
     out, done, filled = np.empty(total, np.uint8), 0, 0
