@@ -6,6 +6,7 @@ selecting the input columns an operator needs under private names before anythin
 
 from __future__ import annotations
 
+import gc
 import math
 import uuid
 from collections.abc import Callable, Iterator
@@ -39,6 +40,12 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def let_go(spark: SparkSession) -> None:
+    """Frees what finished steps hold: handles of long expressions at the driver, and, with them, shuffle files and broadcasts."""
+    gc.collect()
+    spark._jvm.System.gc()
+
+
 def written(df: DataFrame) -> DataFrame:
     """The rows as a table in the shared folder: made once, compressed, and read by column."""
     path = f"{shared_folder(df.sparkSession)}/table-{uuid.uuid4().hex}"

@@ -25,7 +25,7 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import checkpointed, spread_join, written
+from .common import checkpointed, let_go, spread_join, written
 
 #: Key of the registered query; real uses pass a secret of their own.
 DEMO_KEY = "replace-this-key"
@@ -310,8 +310,10 @@ def surrogates(docs: DataFrame, key: str = DEMO_KEY, text: str = "text", local:
 
     Texts are searched once: docs and what is found go to a table in the shared folder.
     """
+    let_go(docs.sparkSession)
     found = written(matched(docs, text))
     exceptions = moved(found, key, local)
+    let_go(docs.sparkSession)
     at: Callable[[Column], Column] = lambda x: F.lit(0)
     if exceptions is not None:  # texts that hold a moved entity get their attempts by a join on the text's digest
         found = found.withColumn("__digest", F.sha2(text, 256))
