@@ -323,3 +323,20 @@ def test_played_queries_are_executed(spark, sf):
         spark.sparkContext.setLocalProperty("spark.jobGroup.id", None)
     assert rows[0][2] == "star" and rows[0][4] == 0
     assert len(spark.sparkContext.statusTracker().getJobIdsForGroup("played")) > 0
+
+
+def test_placed_on_demand(spark, sf):
+    """A query has placed what its patterns can match and no more; all of it is there for who reads a whole copy."""
+    from trellis.sources.store import TableStore
+    from trellis.sources.vocab import CORE, triples_from_tables
+
+    store = TableStore(spark, sf, 4, CORE)
+    bgp = BGP.parse("?x type class/Customer . ?x locatedIn ?n . ?n partOf region/1")
+    got = distributed(store, bgp)
+    assert store.placed == {"ps": {"locatedIn"}, "po": {"type~customer", "partOf"}}
+    assert same(got.drop("home"), plain_of(store, bgp))
+    whole = triples_from_tables(spark, sf, CORE).select("s", "p", "o")
+    assert same(spark.table(store.ps).select("s", "p", "o"), whole)
+    placed = spark.table(store.ps)
+    assert same(vertex_degree(placed, 4).drop("home"), vertex_degree(placed.select("s", "p", "o")))
+    assert distributed(store, BGP.parse("?x nowhere ?y")).count() == 0
