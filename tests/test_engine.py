@@ -340,3 +340,9 @@ def test_placed_on_demand(spark, sf):
     placed = spark.table(store.ps)
     assert same(vertex_degree(placed, 4).drop("home"), vertex_degree(placed.select("s", "p", "o")))
     assert distributed(store, BGP.parse("?x nowhere ?y")).count() == 0
+
+
+def test_table_function_reads_a_table(spark, sf):
+    from trellis.queries import QUERIES
+
+    assert any("customer.parquet" in f for f in QUERIES["op_udtf_edges"](spark, sf).inputFiles())
