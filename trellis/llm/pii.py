@@ -154,6 +154,11 @@ def script_of(x: Column) -> Column:
     return F.when(x.rlike(r"\p{IsCyrillic}"), "cyrillic").when(x.rlike(r"\p{IsGreek}"), "greek").otherwise("latin")
 
 
+def bare_name(m: Column) -> Column:
+    """A name without its title."""
+    return F.regexp_replace(m, r"\A\S+ ", "")
+
+
 def entity_of(m: Column, kind: Column) -> Column:
     """The normal form that coreferent mentions share."""
     return (
@@ -161,7 +166,7 @@ def entity_of(m: Column, kind: Column) -> Column:
         .when(kind.isin("card", "ssn", "phone"), F.concat(F.regexp_extract(m, r"\A(\+?)", 1), only_digits(m)))
         .when(kind == "iban", iban_parts(m))
         .when(kind == "secret", F.regexp_extract(m, r"([A-Za-z0-9+/_\-]+)\z", 1))
-        .when(kind == "name", F.regexp_replace(m, r"\A\S+ ", ""))
+        .when(kind == "name", bare_name(m))
         .otherwise(m)
     )
 
@@ -186,8 +191,8 @@ def spelled(shape: Column, h: Column) -> Column:
     return F.array_join(F.transform(F.split(shape, ""), letter), "")
 
 
-def _choice(options: tuple[str, ...], n: Column) -> Column:
-    return F.element_at(F.array(*map(F.lit, options)), (n % len(options) + 1).cast("int"))
+def _choice(options: Column, n: Column) -> Column:
+    return F.element_at(options, (n % F.size(options) + 1).cast("int"))
 
 
 def person(m: Column, key: str, attempt: Column) -> Column:
@@ -197,32 +202,34 @@ def person(m: Column, key: str, attempt: Column) -> Column:
     distinct under one title are distinct under every other.
     """
     title = F.regexp_extract(m, r"\A(\S+) ", 1)
-    gender = F.when(F.regexp_replace(title, r"\.\z", "").isin(*TITLES["f"]), "f").otherwise("m")
-    bare = entity_of(m, F.lit("name"))
-    script = script_of(bare)
-    words = F.split(bare, " ")
 
-    def word(w: Column, i: Column) -> Column:
-        def surname(h: Column) -> Column:
-            # later attempts have longer surnames, so that there are enough of them
-            parts = [F.conv(F.substring(h, 16 + 2 * k, 2), 16, 10).cast("int") for k in range(10)]
-            out = F.lit(None).cast("string")
-            for s, options in SYLLABLES.items():
-                said = lambda a, b, options=options: F.concat(*[_choice(options, p) for p in parts[a:b]])
-                longer = F.concat(F.when(attempt > 0, said(3, 6)).otherwise(F.lit("")), F.when(attempt > 2, said(6, 10)).otherwise(F.lit("")))
-                out = F.when(script == s, F.concat(F.initcap(F.concat(said(0, 3), longer)), F.lit(SURNAME_END[s]))).otherwise(out)
-            return out
+    def of(x: Column) -> Column:
+        def word(w: Column, i: Column) -> Column:
+            def surname(h: Column) -> Column:
+                # later attempts have longer surnames, so that there are enough of them
+                syllables = F.when(attempt > 2, 10).when(attempt > 0, 6).otherwise(3)
+                said = F.transform(F.sequence(F.lit(0), syllables - 1), lambda k: _choice(x["syllables"], F.conv(F.substring(h, 16 + 2 * k, F.lit(2)), 16, 10).cast("int")))
+                return F.concat(F.initcap(F.array_join(said, "")), x["end"])
 
-        def given(h: Column) -> Column:
-            out = F.lit(None).cast("string")
-            for (g, s), options in GIVEN.items():
-                out = F.when((gender == g) & (script == s), _choice(options, F.conv(F.substring(h, 1, 4), 16, 10).cast("int"))).otherwise(out)
-            return out
+            def given(h: Column) -> Column:
+                return _choice(x["given"], F.conv(F.substring(h, 1, 4), 16, 10).cast("int"))
 
-        last = i == F.size(words) - 1
-        return let(keyed(key, F.when(last, "surname").otherwise("given"), attempt, F.lower(w)), lambda h: F.when(last, surname(h)).otherwise(given(h)))
+            last = i == F.size(F.split(x["bare"], " ")) - 1
+            return let(keyed(key, F.when(last, "surname").otherwise("given"), attempt, F.lower(w)), lambda h: F.when(last, surname(h)).otherwise(given(h)))
 
-    return F.concat_ws(" ", title, F.array_join(F.transform(words, word), " "))
+        return F.array_join(F.transform(F.split(x["bare"], " "), word), " ")
+
+    def by(value: Column, options: dict) -> Column:
+        out = F.lit(None)
+        for k, v in options.items():
+            out = F.when(value == k, F.array(*map(F.lit, v)) if isinstance(v, tuple) else F.lit(v)).otherwise(out)
+        return out
+
+    # what depends on gender and script is looked up once a name: expressions stay small, which the driver holds and analyses
+    gender = F.when(F.regexp_replace(title, r"\.\z", "").isin(*TITLES["f"]), "f").otherwise("m")
+    told = let(bare_name(m), lambda bare: let(script_of(bare), lambda script: let(
+        F.struct(bare.alias("bare"), by(F.concat(gender, F.lit(" "), script), {" ".join(k): v for k, v in GIVEN.items()}).alias("given"), by(script, SYLLABLES).alias("syllables"), by(script, SURNAME_END).alias("end")), of)))
+    return F.concat_ws(" ", title, told)
 
 
 def surrogate(m: Column, kind: Column, key: str, attempt: Column | int = 0, local: int = LOCAL) -> Column:
@@ -246,7 +253,7 @@ def surrogate(m: Column, kind: Column, key: str, attempt: Column | int = 0, loca
     plain = iban_parts(m)
     body = let(F.substring(plain, F.lit(5), F.length(plain)), lambda b: refill(b, _long_permuted(only_digits(b), key, attempt)))
     account = let(body, lambda b: F.concat(F.substring(plain, 1, 2), F.lpad((98 - mod97(F.concat(b, F.substring(plain, 1, 2), F.lit("00")))).cast("string"), 2, "0"), b))
-    grouped = F.when(m.contains(" "), F.trim(F.regexp_replace(account, "(.{4})", "$1 "))).otherwise(account)
+    grouped = let(account, lambda a: F.when(m.contains(" "), F.trim(F.regexp_replace(a, "(.{4})", "$1 "))).otherwise(a))
     return (
         F.when(kind == "email", email)
         .when(kind == "access_key", access)
@@ -276,8 +283,9 @@ def matched(docs: DataFrame, text: str = "text") -> DataFrame:
 
 def forms(m: Column, kind: Column, entity: Column, key: str, attempt: Column, local: int) -> Column:
     """Normal forms of all surrogates that an entity may get: a name's depends on its title's gender."""
-    titled = [entity_of(person(F.concat(F.lit(f"{t[0]} "), entity), key, attempt), F.lit("name")) for t in TITLES.values()]
-    return F.when(kind == "name", F.array(*titled)).otherwise(F.array(entity_of(surrogate(m, kind, key, attempt, local), kind)))
+    titled = F.transform(F.array(*[F.lit(f"{t[0]} ") for t in TITLES.values()]), lambda t: bare_name(person(F.concat(t, entity), key, attempt)))
+    made = let(surrogate(m, kind, key, attempt, local), lambda s: entity_of(s, kind))
+    return F.when(kind == "name", titled).otherwise(F.array(made))
 
 
 def moved(found: DataFrame, key: str, local: int = LOCAL) -> DataFrame | None:
@@ -325,7 +333,7 @@ def surrogates(docs: DataFrame, key: str = DEMO_KEY, text: str = "text", local:
         salt = F.pmod(F.xxhash64(F.lit("salt"), *[F.col(f"`{c}`") for c in docs.columns if c != text]), F.lit(SALTS)).cast("int")
         found = found.withColumn("__salt", salt).join(by, ["__digest", "__salt"], "left")
         at = lambda x: F.coalesce(F.col("__moved")[F.concat_ws("|", x["kind"], x["entity"])], F.lit(0))
-    new = F.transform("__found", lambda x: F.coalesce(surrogate(x["m"], x["kind"], key, at(x), local), x["m"]))
+    new = F.transform("__found", lambda x: let(at(x), lambda attempt: F.coalesce(surrogate(x["m"], x["kind"], key, attempt, local), x["m"])))
     pieces = F.zip_with(F.split(F.col(text), ANY, -1), new, lambda gap, s: F.concat(gap, F.coalesce(s, F.lit(""))))
     out = found.withColumn("__kinds", F.filter(F.transform("__found", lambda x: x["kind"]), lambda k: k.isNotNull()))
     out = out.withColumn(text, F.when(F.size("__kinds") > 0, F.array_join(pieces, "")).otherwise(F.col(text)))
