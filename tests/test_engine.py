@@ -346,3 +346,36 @@ def test_table_function_reads_a_table(spark, sf):
     from trellis.queries import QUERIES
 
     assert any("customer.parquet" in f for f in QUERIES["op_udtf_edges"](spark, sf).inputFiles())
+
+
+def test_replicas_on_demand(spark, sf):
+    """What a query has replicated is what two hops over the whole graph give of the mappings that it can match."""
+    import duckdb
+
+    from trellis import baselines
+    from trellis.sources.store import TableStore
+    from trellis.sources.vocab import CORE, TABLES, triples_sql
+
+    con = duckdb.connect()
+    for t in TABLES:
+        con.sql(f"create view {t} as select * from '{sf}/{t}.parquet'")
+    triples = con.sql(triples_sql(CORE)).fetchall()
+    triples = [t for t in triples if None not in t]
+    names = {s for s, _, _ in triples}
+    ends = spark.createDataFrame([(s, s.split("/")[0]) for s in names], "s string, head string").select("s", home("s", 4), home("head", 4)).collect()
+    by_s, by_o = {}, {}
+    for t in triples:
+        by_s.setdefault(t[0], []).append(t)
+        by_o.setdefault(t[2], []).append(t)
+    for kind, name in (("khop", "uni_q08"), ("khop_prefix", "uni_q08"), ("khop_undirected", "uni_q11")):
+        at = {r[0]: r[2 if kind == "khop_prefix" else 1] for r in ends}
+        want = {(at[t[0]], *t) for t in triples}
+        through = {(h, s, p, o) for h, s, p, o in want if p != "type"}
+        want |= {(h, *t) for h, o in {(x[0], x[3]) for x in through} for t in by_s.get(o, ())}
+        if kind == "khop_undirected":
+            want |= {(h, *t) for h, s in {x[:2] for x in through} for t in by_o.get(s, ()) if t[1] != "type"}
+        store, bgp = TableStore(spark, sf, 4, CORE), template(name)
+        asked, classes = {str(p.p) for p in bgp}, {str(p.o) for p in bgp if str(p.p) == "type"}
+        want = sorted(x for x in want if x[2] in asked and (x[2] != "type" or x[3] in classes))
+        assert sorted(tuple(r) for r in baselines.khop_replicas(store, kind, bgp).select("home", "s", "p", "o").collect()) == want
+        assert store.placed == {"ps": set(), "po": set()}
