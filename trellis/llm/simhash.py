@@ -31,7 +31,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import KEYS, checkpointed, components, let_go, map_rows, ready, row_batches, row_keys, spread_join, written
+from .common import KEYS, checkpointed, components, let_go, map_rows, ready, removed, row_batches, row_keys, spread_join, written
 
 SEED = 42
 
@@ -114,6 +114,8 @@ FIRST = 8
 BLOCK = 2048
 #: Members from which a group's classes are bridged before all of them are compared.
 BRIDGED = 16
+#: Parts that a step is worked off in at most, and rows or bytes from which another is worth its jobs.
+PORTIONS, PORTION_ROWS, PORTION_BYTES = 8, 1 << 20, 32 << 20
 #: Longs of a sketch.
 SKETCH = 16
 
@@ -251,11 +253,23 @@ def allowed(pairs: DataFrame, nodes: DataFrame, similarity: float) -> DataFrame:
     return pairs.where(roughly & finely).select("a", "b")
 
 
-def divided(rows: DataFrame, links: DataFrame) -> DataFrame:
-    """(key, id, root, n) of the rows (id, key) whose groups hold several classes of the links; n: the group's rows."""
-    rooted = rows.join(components(links).withColumnRenamed("node", "id"), "id", "left").select("id", F.coalesce("root", "id").alias("root"), "key")
-    several = written(rooted.groupBy("key").agg(F.min("root").alias("x"), F.max("root").alias("y"), F.count("*").alias("n")).where("x != y").select("key", "n"))
-    return written(spread_join(rooted, several, "key", several).select("key", "id", "root", "n"))
+def portions(total: int | None, each: int) -> int:
+    """Parts that a step of so many rows or bytes is worked off in: the shuffle files of one are there at a time."""
+    return min(PORTIONS, max(1, math.ceil((total or 0) / each)))
+
+
+def divided(nodes: DataFrame, links: DataFrame) -> DataFrame:
+    """(key, id, root, n) for each of the keys of nodes (id, keys) whose group holds several classes of the links; n: the group's rows."""
+    roots = components(links).withColumnRenamed("node", "id")
+    parts = portions(nodes.agg(F.sum(F.size("keys"))).first()[0], PORTION_ROWS)
+
+    def held_apart(part: int) -> DataFrame:
+        own = nodes.select("id", F.filter("keys", lambda k: F.pmod(k, F.lit(parts)) == part).alias("keys")) if parts > 1 else nodes
+        rooted = own.join(roots, "id", "left").select("id", F.coalesce("root", "id").alias("root"), F.explode("keys").alias("key"))
+        several = written(rooted.groupBy("key").agg(F.min("root").alias("x"), F.max("root").alias("y"), F.count("*").alias("n")).where("x != y").select("key", "n"))
+        return spread_join(rooted, several, "key", several).select("key", "id", "root", "n")
+
+    return written(*map(held_apart, range(parts)))
 
 
 def bridge_pairs(met: DataFrame) -> DataFrame:
@@ -274,17 +288,24 @@ def rest_pairs(met: DataFrame, nodes: DataFrame, similarity: float) -> DataFrame
     compares it, and never becomes a row. A pair that shares several shingles counts at the first.
     """
     # a node's shared keys, at most those of its prefix: each row has those before its own
-    by = met.groupBy("id", "root").agg(F.sort_array(F.collect_list(F.struct("key", "n"))).alias("keys")).join(nodes.select("id", "size", "sketch"), "id")
-    cut = by.select("id", "size", "sketch", "root", "keys", F.posexplode("keys").alias("pos", "k")).select("id", "size", "sketch", "root", F.col("k.key").alias("key"), F.slice("keys.key", 1, F.col("pos")).alias("earlier"), F.ceil(F.col("k.n") / BLOCK).cast("int").alias("blocks"))
-    cut = cut.withColumn("own", F.pmod(F.xxhash64("id"), F.col("blocks")).cast("int"))
+    by = written(met.groupBy("id", "root").agg(F.sort_array(F.collect_list(F.struct("key", "n"))).alias("keys")).join(nodes.select("id", "size", "sketch"), "id"))
+    k = F.size("keys").cast("long")
+    parts = portions(by.agg(F.sum(k * (k - 1) * 4 + k * (SKETCH * 8 + 32))).first()[0], PORTION_BYTES)
     own = ("id", "size", "sketch", "root", "earlier", "own")
-    every = cut.select("key", *own, F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("other"))
-    every = every.select("key", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), *own)
-    x, y = (every.select("key", "i", "j", *[F.col(c).alias(f"{c}_{side}") for c in own]) for side in "ab")
-    apart = (F.col("id_a") < F.col("id_b")) & (F.col("root_a") != F.col("root_b")) & ((F.col("own_a") != F.col("own_b")) | (F.col("x.i") == F.col("x.j")))
-    similar = may_be_similar(similarity, F.col("size_a"), F.col("sketch_a"), F.col("size_b"), F.col("sketch_b")) & ~F.arrays_overlap("earlier_a", "earlier_b")
-    same = [F.col(f"x.{c}") == F.col(f"y.{c}") for c in ("key", "i", "j")]
-    return x.alias("x").join(y.alias("y").hint("merge"), same[0] & same[1] & same[2] & apart & similar).select(F.col("id_a").alias("a"), F.col("id_b").alias("b")).distinct()
+
+    def compared(part: int) -> DataFrame:
+        keyed = by.select("id", "size", "sketch", "root", "keys", F.posexplode("keys").alias("pos", "k")).where(F.pmod("k.key", F.lit(parts)) == part)
+        cut = keyed.select("id", "size", "sketch", "root", F.col("k.key").alias("key"), F.slice("keys.key", 1, F.col("pos")).alias("earlier"), F.ceil(F.col("k.n") / BLOCK).cast("int").alias("blocks"))
+        cut = cut.withColumn("own", F.pmod(F.xxhash64("id"), F.col("blocks")).cast("int"))
+        every = cut.select("key", *own, F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("other"))
+        every = every.select("key", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), *own).repartition("key", "i", "j")  # once for both sides
+        x, y = (every.select("key", "i", "j", *[F.col(c).alias(f"{c}_{side}") for c in own]) for side in "ab")
+        apart = (F.col("id_a") < F.col("id_b")) & (F.col("root_a") != F.col("root_b")) & ((F.col("own_a") != F.col("own_b")) | (F.col("x.i") == F.col("x.j")))
+        similar = may_be_similar(similarity, F.col("size_a"), F.col("sketch_a"), F.col("size_b"), F.col("sketch_b")) & ~F.arrays_overlap("earlier_a", "earlier_b")
+        same = [F.col(f"x.{c}") == F.col(f"y.{c}") for c in ("key", "i", "j")]
+        return x.alias("x").join(y.alias("y").hint("merge"), same[0] & same[1] & same[2] & apart & similar).select(F.col("id_a").alias("a"), F.col("id_b").alias("b")).distinct()
+
+    return written(*map(compared, range(parts)))
 
 
 def verified(pairs: DataFrame, texts: DataFrame, n: int, similarity: float) -> DataFrame:
@@ -309,10 +330,12 @@ def _classed(named: DataFrame, n: int, radius: int, similarity: float) -> tuple[
     """
     if not 0 < similarity <= 1:
         raise ValueError("a similarity above 0 and up to 1 is needed")
-    rows = written(sketches(named, n, KEYS, similarity))
+    full = written(sketches(named, n, KEYS, similarity))
     least = F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", *KEYS)).alias("best")
-    one = rows.groupBy("node").agg(least, *[F.first(c).alias(c) for c in ("fp", "size", "sketch", "fine", "prefix")])
+    one = full.groupBy("node").agg(least, *[F.first(c).alias(c) for c in ("fp", "size", "sketch", "fine", "prefix")])
     nodes = written(one.withColumn("id", F.monotonically_increasing_id()))
+    rows = written(full.select(*KEYS, "doc_id", "node"))
+    removed(full)
     let_go(named.sparkSession)
 
     def similar(pairs: DataFrame) -> DataFrame:
@@ -327,11 +350,11 @@ def _classed(named: DataFrame, n: int, radius: int, similarity: float) -> tuple[
     pairs = written(allowed(ball_pairs(nodes, radius), nodes, similarity).union(star_pairs(nodes, similarity)).distinct())
     likely = similar(pairs)
     # what groups still hold apart: two members of each first, as most of their links follow from a few; then all pairs
-    met = divided(nodes.select("id", F.explode("prefix").alias("key")), likely)
+    met = divided(nodes.select("id", F.col("prefix").alias("keys")), likely)
     let_go(named.sparkSession)
     bridges = written(allowed(bridge_pairs(met.where(F.col("n") > BRIDGED)).join(pairs, ["a", "b"], "left_anti"), nodes, similarity))
     links = written(likely.union(similar(bridges)))
-    rest = rest_pairs(divided(met.select("id", "key"), links), nodes, similarity).join(pairs.union(bridges), ["a", "b"], "left_anti")
+    rest = rest_pairs(divided(met.groupBy("id").agg(F.collect_list("key").alias("keys")), links), nodes, similarity).join(pairs.union(bridges), ["a", "b"], "left_anti")
     links = links.union(similar(written(allowed(rest, nodes, similarity))))
     rooted = nodes.select("id", "node", "best").join(components(links).withColumnRenamed("node", "id"), "id", "left").withColumn("class", F.coalesce("root", "id"))
     best = rooted.groupBy("class").agg(F.min("best").alias("first"))
