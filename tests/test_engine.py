@@ -379,3 +379,16 @@ def test_replicas_on_demand(spark, sf):
         want = sorted(x for x in want if x[2] in asked and (x[2] != "type" or x[3] in classes))
         assert sorted(tuple(r) for r in baselines.khop_replicas(store, kind, bgp).select("home", "s", "p", "o").collect()) == want
         assert store.placed == {"ps": set(), "po": set()}
+
+
+def test_partitioning_in_portions_gives_the_same_parts(spark, monkeypatch):
+    """Every vertex has one part, however many portions the voters are counted in."""
+    from trellis import baselines
+
+    rows = [(f"a/{k}", "p", f"a/{k * 7 % 20}") for k in range(20)] + [(f"b/{k}", "p", f"b/{k * 3 % 20 + 1}") for k in range(20)]
+    triples = spark.createDataFrame(rows, "s string, p string, o string")
+    once = {r["v"]: r["part"] for r in baselines.min_cut(triples, 2, rounds=1).collect()}
+    monkeypatch.setattr(baselines, "VOTES", 30)
+    assert {r["v"]: r["part"] for r in baselines.min_cut(triples, 2, rounds=1).collect()} == once
+    names = {x for s, _, o in rows if s != o for x in (s, o)}
+    assert len(once) == len(names) and set(once.values()) <= {0, 1}
