@@ -392,3 +392,43 @@ def test_partitioning_in_portions_gives_the_same_parts(spark, monkeypatch):
     assert {r["v"]: r["part"] for r in baselines.min_cut(triples, 2, rounds=1).collect()} == once
     names = {x for s, _, o in rows if s != o for x in (s, o)}
     assert len(once) == len(names) and set(once.values()) <= {0, 1}
+
+
+def test_partitioning_reads_names_once(spark, sf, monkeypatch):
+    """Names are read and hashed once, whatever the number of rounds; the parts are what plain counting of votes gives."""
+    import math
+    from collections import Counter, defaultdict
+
+    from pyspark.sql import functions as F
+
+    from trellis import baselines
+
+    rows = [(f"a/{k}", "p", f"a/{k * 7 % 20}") for k in range(20)] + [(f"b/{k}", "p", f"a/{k * 3 % 20 + 1}") for k in range(20)] + [("a/3", "p", "b/4")] * 3
+    triples = spark.createDataFrame(rows, "s string, p string, o string")
+    near = defaultdict(list)
+    names = sorted({x for s, _, o in rows if s != o for x in (s, o)})
+    of = {r["x"]: r for r in spark.createDataFrame([(x,) for x in names], "x string").select("x", F.xxhash64("x").alias("v")).select("x", "v", F.pmod(F.xxhash64(F.lit(1), "v"), F.lit(3)).cast("int").alias("part"), *[(F.pmod(F.xxhash64(F.lit(r), "v"), F.lit(1_000_000)) / 1_000_000).alias(f"luck{r}") for r in range(2)]).collect()}
+    tie = {(r["k"], r["r"]): r["x"] for r in spark.range(3).selectExpr("cast(id as int) as k", "explode(array(0, 1)) as r").select("k", "r", F.xxhash64("k", "r").alias("x")).collect()}
+    for s, _, o in rows:
+        if s != o:
+            near[s].append(o)
+            near[o].append(s)
+    part = {x: of[x]["part"] for x in names}
+    cap = math.ceil(1.1 * len(names) / 3)
+    for r in range(2):
+        wish = {x: max(Counter(part[y] for y in near[x]).items(), key=lambda kn: (kn[1], tie[kn[0], r]))[0] for x in names}
+        sizes, asking = Counter(part.values()), Counter(wish[x] for x in names if wish[x] != part[x])
+        room = {k: max(0.0, min(1.0, (cap - sizes[k]) / max(asking[k], 1))) for k in range(3)}
+        part = {x: wish[x] if wish[x] != part[x] and of[x][f"luck{r}"] < room[wish[x]] else part[x] for x in names}
+    got = {r["v"]: r["part"] for r in baselines.min_cut(triples, 3, rounds=2).collect()}
+    assert got == {of[x]["v"]: part[x] for x in names}
+
+    # the tables are read for the number of their rows and for their names, and not again in a round
+    read = []
+    for_real = baselines._Bucketed.add
+    monkeypatch.setattr(baselines._Bucketed, "add", lambda self, rows, *order: (read.append([f for f in rows.inputFiles() if sf in f]), for_real(self, rows, *order))[1])
+    store = store_of(spark, sf)
+    stars = baselines.graph_of(store)
+    assert sum(len(x.objects) for x in stars) == len(store.units)
+    assert baselines.min_cut(stars, 4, rounds=2).count() > 0
+    assert sum(map(bool, read)) < len(stars) and not any(read[-4:])
