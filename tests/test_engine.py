@@ -432,3 +432,29 @@ def test_partitioning_reads_names_once(spark, sf, monkeypatch):
     assert sum(len(x.objects) for x in stars) == len(store.units)
     assert baselines.min_cut(stars, 4, rounds=2).count() > 0
     assert sum(map(bool, read)) < len(stars) and not any(read[-4:])
+
+
+@pytest.mark.parametrize("odd", [False, True])
+def test_statistics_are_counted_from_the_tables(spark, sf, tmp_path, odd):
+    """The whole graph's statistics are those of its placed triples, and place nothing; also of lines that repeat, and of labels that read like names."""
+    from pyspark.sql import functions as F
+
+    from trellis.plans.stats import collect_statistics, predicate_statistics
+    from trellis.sources.store import TableStore
+    from trellis.sources.vocab import CORE, TABLES, triples_from_tables
+
+    if odd:
+        for t in TABLES:
+            rows = spark.read.parquet(f"{sf}/{t}.parquet")
+            if t == "lineitem":
+                few = rows.orderBy(*rows.columns).limit(50)
+                rows = rows.union(few).union(few.withColumn("l_quantity", (F.col("l_quantity") + 1).cast(rows.schema["l_quantity"].dataType))).union(few.withColumn("l_returnflag", F.lit(None).cast("string")))
+            if t == "part":
+                line = spark.read.parquet(f"{sf}/lineitem.parquet").selectExpr("concat('line/', l_orderkey, '-', l_linenumber, '-', l_partkey, '-', l_suppkey) as name").orderBy("name").first()["name"]
+                rows = rows.withColumn("p_name", F.when(F.col("p_partkey") < 3, F.lit(line)).when(F.col("p_partkey") < 6, F.lit("event/1")).otherwise(F.col("p_name")))
+            rows.write.parquet(f"{tmp_path}/{t}.parquet")
+        sf = str(tmp_path)
+    store = TableStore(spark, sf, 4, CORE)
+    want = collect_statistics(predicate_statistics(triples_from_tables(spark, sf, CORE).select("s", "p", "o")))
+    assert store.raw_stats == want
+    assert store.total == sum(p.card for p in want.values()) and store.placed == {"ps": set(), "po": set()}
